@@ -71,7 +71,6 @@ def drop_duplicates(docs: DataFrame, id_col: str = "doc_id", text_col: str = "te
     return stay.withColumn("__n", F.row_number().over(key)).where("__n = 1").select(*[F.col(f"`{c}`") for c in docs.columns])
 
 
-
 ORACLE = f"""
 with t as (select doc_id, sha256(translate(coalesce(text, ''), '{string.ascii_uppercase}', '{string.ascii_lowercase}')) as h from documents),
 g as (select h, max(doc_id) as keep_id, cast(count(*) as bigint) as group_size from t group by h)

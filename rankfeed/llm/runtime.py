@@ -53,7 +53,7 @@ def discard(spark: SparkSession, *tables: DataFrame | str) -> None:
 
 
 def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
-    return spark.read.parquet(f"{sf_dir}/{name}.parquet")
+    return ship(spark).read.parquet(f"{sf_dir}/{name}.parquet")
 
 
 def text_of(column: str) -> Column:
@@ -65,3 +65,34 @@ def spread(df: DataFrame, rows_per_task: int | None = None) -> DataFrame:
     """Hint for CPU-heavy maps over few input files: as many tasks as the session has cores, at least."""
     least = df.sparkSession.sparkContext.defaultParallelism
     return df.repartition(least) if df.rdd.getNumPartitions() < least else df
+
+
+def attach(rows: DataFrame, groups: DataFrame, key: str, total: int, size: str = "group_size", how: str = "left", share: int = 1000) -> DataFrame:
+    """``rows`` joined to one row per group; groups above ``total / share`` rows, fewer than ``share`` of them, go by broadcast.
+
+    So no shuffled key of ``rows`` holds more than a thousandth of all rows.
+    """
+    most = max(1000, total // share)
+    hot = groups.where(F.col(size) > most).withColumn("__hot", F.lit(True))
+    marked = rows.join(F.broadcast(hot), key, "left")
+    big = marked.where("__hot").drop("__hot")
+    rest = marked.where("__hot is null").select(*rows.columns).join(groups.where(F.col(size) <= most), key, how)
+    return big.select(*rest.columns).unionByName(rest)
+
+
+def ship(spark: SparkSession) -> SparkSession:
+    """Make the package importable in Python workers that do not have it on their path; once for each session."""
+    import pathlib
+    import zipfile
+
+    context = spark.sparkContext
+    if getattr(context, "_rankfeed_shipped", False):
+        return spark
+    package = pathlib.Path(__file__).resolve().parents[1]
+    archive = pathlib.Path(tempfile.mkdtemp(prefix="rankfeed-code-")) / "rankfeed.zip"
+    with zipfile.ZipFile(archive, "w") as z:
+        for source in sorted(package.rglob("*.py")):
+            z.write(source, source.relative_to(package.parent))
+    context.addPyFile(str(archive))
+    context._rankfeed_shipped = True
+    return spark
