@@ -47,11 +47,11 @@ def frequent(digests: DataFrame, winners: int, tracked: int) -> DataFrame:
 def assign(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", winners: int = 1000, tracked: int = 65536) -> DataFrame:
     """One row per input row: ``doc_id, keep_id, group_size, kept, text_sha256``."""
     rows = written(docs.select(F.col(id_col).alias("doc_id"), digest(text_of(text_col)).alias("digest"), F.monotonically_increasing_id().alias("uid")), "digests")
-    best = (F.max(F.struct("doc_id", "uid")).alias("best"), F.count(F.lit(1)).alias("group_size"))
-    top = written(rows.join(F.broadcast(frequent(rows, winners, tracked)), "digest", "left_semi").groupBy("digest").agg(*best), "winners")
+    best, size = F.max(F.struct("doc_id", "uid")), F.count(F.lit(1))
+    top = written(rows.join(F.broadcast(frequent(rows, winners, tracked)), "digest", "left_semi").groupBy("digest").agg(best.alias("best"), size.alias("group_size")), "winners")
     known = rows.join(F.broadcast(top), "digest", "left")
     of_digest = Window.partitionBy("digest")
-    rest = known.where("group_size is null").select("doc_id", "digest", "uid").withColumns({"best": best[0].over(of_digest), "group_size": best[1].over(of_digest)})
+    rest = known.where("group_size is null").select("doc_id", "digest", "uid").withColumns({"best": best.over(of_digest), "group_size": size.over(of_digest)})
     hot = known.where("group_size is not null").select(*rest.columns)
     return hot.unionByName(rest).select(
         "doc_id", F.col("best.doc_id").alias("keep_id"), "group_size", (F.col("best.uid") == F.col("uid")).alias("kept"), F.col("digest").alias("text_sha256")
