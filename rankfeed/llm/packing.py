@@ -175,7 +175,7 @@ def plan(histogram: dict[int, int], capacity: int, parts: int = 3, grain: int =
                 lengths, taken = [], defaultdict(int)
                 for b in p:
                     at = min(b * grain, capacity)
-                    while left[at] - taken[at] <= 0:
+                    while left[at] - taken.get(at, 0) <= 0:
                         at -= 1
                     taken[at] += 1
                     lengths.append(at)
