@@ -40,7 +40,7 @@ def digest(text: Column) -> Column:
 def frequent(digests: DataFrame, winners: int, tracked: int) -> DataFrame:
     """Candidates of the sketch: at most ``winners`` rows (``digest``)."""
     partial = digests.groupBy(F.pmod(F.col("uid"), F.lit(FAN_IN)).alias("part")).agg(F.expr(f"approx_top_k_accumulate(digest, {tracked})").alias("sketch"))
-    merged = partial.agg(F.expr(f"approx_top_k_combine(sketch, {tracked})").alias("sketch"))
+    merged = partial.groupBy(F.lit(1)).agg(F.expr(f"approx_top_k_combine(sketch, {tracked})").alias("sketch"))
     return merged.select(F.explode(F.expr(f"approx_top_k_estimate(sketch, {winners})")).alias("hit")).where("hit.count > 1").select(F.col("hit.item").alias("digest"))
 
 
