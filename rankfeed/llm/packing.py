@@ -225,6 +225,12 @@ def plan(histogram: dict[int, int], capacity: int, parts: int = 3, grain: int =
     return Plan(table[:, 0], table[:, 1], table[:, 2], table[:, 3], base, by_pattern)
 
 
+def best_plan(histogram: dict[int, int], capacity: int, parts: int = 3) -> Plan:
+    """The plan with the fewest sequences among a few pattern sets: long patterns, fewer small bins, pairs."""
+    settings = [(parts, capacity // 16), (parts, capacity // 8), (min(parts, 2), capacity // 5)]
+    return min((plan(histogram, capacity, k, small=max(1, least)) for k, least in settings), key=lambda p: p.sequences)
+
+
 def ranked(rows: DataFrame, counts: DataFrame, total: int) -> DataFrame:
     """``rows`` with a rank among the rows of their length, by way of salted groups of a bounded share of all rows."""
     target = max(500, total // 100_000)
@@ -241,7 +247,7 @@ def pack(docs: DataFrame, tokenizer: str, capacity: int = 2048, end_id: int = 0,
     rows = written(tokenized(docs, tokenizer, capacity, end_id, id_col, text_col), "pieces").withColumn("uid", F.monotonically_increasing_id())
     counts = written(rows.groupBy("length").agg(F.count(F.lit(1)).alias("n")), "lengths")  # at most ``capacity`` rows
     histogram = {r["length"]: r["n"] for r in counts.collect()}
-    fit = plan(histogram, capacity, parts)
+    fit = best_plan(histogram, capacity, parts)
     table = spark.sparkContext.broadcast((fit.length * (1 << 44) + fit.first, fit.first, fit.offset, fit.sequence))
 
     def place(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
