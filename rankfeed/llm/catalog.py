@@ -6,7 +6,7 @@ from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
 
-from . import decontamination, exact_dedup, html_text, near_dedup, packing, quality, token_counts, toxicity, warc
+from . import decontamination, exact_dedup, html_text, near_dedup, packing, quality, repeats, token_counts, toxicity, warc
 from .runtime import table
 
 
@@ -35,6 +35,10 @@ def op4_toxicity(spark: SparkSession, sf_dir: str) -> DataFrame:
     return toxicity.scored(docs, models, toxicity.CHAIN).selectExpr("doc_id", "p_low_quality", "p_toxic", "p_toxic >= 0.5 as toxic")
 
 
+def op5_maximal_repeats(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return repeats.removed(table(spark, sf_dir, "documents"))
+
+
 def op6_hyperminhash(spark: SparkSession, sf_dir: str) -> DataFrame:
     return near_dedup.classes(table(spark, sf_dir, "documents"))
 
