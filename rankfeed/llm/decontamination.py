@@ -38,7 +38,7 @@ def plain(word: str) -> str:
     return "".join(_word(word.lower()))
 
 
-def grams(words: list[str]) -> set[tuple[str, ...]]:
+def grams(words: list) -> set[tuple]:
     return {tuple(words[k : k + GRAM]) for k in range(max(1, len(words) - GRAM + 1))} if words else set()
 
 
@@ -62,18 +62,26 @@ class Index:
         df = Counter(w for _, ws in segments for w in set(ws))
         mean = sum(len(ws) for _, ws in segments) / max(1, len(segments))
         self.terms = {w: k + 1 for k, w in enumerate(df)}
+        self.sides = [[{tuple(self.terms[w] for w in g) for g in side} for side in sides] for sides in self.sides]
         self.blocks = -(-len(segments) // BLOCK)
         self.block_max = np.zeros((len(df) + 1, max(1, self.blocks)), np.float32)
-        self.postings: dict[int, dict[int, list[tuple[int, float]]]] = defaultdict(lambda: defaultdict(list))
+        postings: dict[int, list[tuple[int, float]]] = defaultdict(list)
         for s, (_, ws) in enumerate(segments):
             tf = Counter(ws)
             score = {w: math.log(1 + (len(segments) - df[w] + 0.5) / (df[w] + 0.5)) * n * (k1 + 1) / (n + k1 * (1 - b + b * len(ws) / mean)) for w, n in tf.items()}
             own = sum(score[w] * n for w, n in tf.items())
             for w, x in score.items():
                 t = self.terms[w]
-                self.postings[s // BLOCK][t].append((s, x / own))
+                postings[t].append((s, x / own))
                 self.block_max[t, s // BLOCK] = max(self.block_max[t, s // BLOCK], x / own)
-        self.postings = {b: dict(p) for b, p in self.postings.items()}
+        flat = [p for t in range(len(df) + 1) for p in postings.get(t, ())]
+        self.segment = np.array([s for s, _ in flat], np.int64)
+        self.weight = np.array([x for _, x in flat], np.float64)
+        # begin[t, b]: first posting of term t in block b or later
+        sizes = np.zeros((len(df) + 1, max(1, self.blocks)), np.int64)
+        np.add.at(sizes, ([t for t in range(len(df) + 1) for _ in postings.get(t, ())], self.segment // BLOCK), 1)
+        self.begin = np.concatenate([[0], np.cumsum(sizes)])[:-1].reshape(sizes.shape).astype(np.int32)
+        self.sizes = sizes.astype(np.int8)
         self.term_max = self.block_max.max(1)
 
     def search(self, term: np.ndarray, threshold: float) -> set[int]:
@@ -87,15 +95,23 @@ class Index:
         for k in np.flatnonzero(bound >= threshold):
             passage = term[k * REACH : (k + 2) * REACH]
             passage = passage[passage > 0]
-            for block in np.flatnonzero(self.block_max[passage].sum(0) >= threshold):
-                score: dict[int, float] = defaultdict(float)
-                of_block = self.postings[int(block)]
-                for t in passage.tolist():
-                    for s, x in of_block.get(t, ()):
-                        score[s] += x
-                found |= {int(self.owner[s]) for s, x in score.items() if x >= threshold}
+            open_blocks = np.flatnonzero(self.block_max[passage].sum(0) >= threshold)
+            if len(open_blocks):
+                at = np.ix_(passage, open_blocks)
+                starts, lengths = self.begin[at].ravel(), self.sizes[at].ravel().astype(np.int64)
+                at = np.repeat(starts - np.cumsum(lengths) + lengths, lengths)
+                at += np.arange(len(at))
+                score = np.bincount(self.segment[at], self.weight[at], len(self.owner))
+                found.update(self.owner[score >= threshold].tolist())
         return found
 
+    def known_grams(self, term: np.ndarray) -> set[tuple[int, ...]]:
+        """Grams of a text that have terms of the index only; no other gram can be in an item."""
+        if len(term) < GRAM:
+            return grams(term.tolist())
+        whole = np.convolve(term > 0, np.ones(GRAM, int), "valid") == GRAM
+        return set(map(tuple, np.lib.stride_tricks.sliding_window_view(term, GRAM)[whole].tolist()))
+
     def hits(self, texts: pa.Array, threshold: float, overlap: float) -> list[list[int]]:
         w = split(texts, ascii_only=False)
         words = [plain(s) for s in w.distinct]
@@ -107,7 +123,7 @@ class Index:
             index = index[real[index]]
             near = self.search(code[index], threshold)
             if near:
-                own = grams([words[k] for k in index])
+                own = self.known_grams(code[index])
                 near = {k for k in near if all(len(side & own) >= overlap * len(side) for side in self.sides[k])}
             out.append(sorted(self.ids[k] for k in near))
         return out
