@@ -2,7 +2,7 @@
 
 from __future__ import annotations
 
-from .queries import K, M, N, W
+from .queries import LAMBDA, LR, K, M, N, W
 
 QTR = f"""m as (select (year(l_shipdate) - 1995) * 4 + quarter(l_shipdate) - 1 as step, cast(l_orderkey % {W} as integer) as worker,
  s_nationkey as i, p_size - 1 as j, sum(l_quantity) as v
@@ -42,6 +42,26 @@ def sweep(rank: int, cold: bool = False) -> str:
     return "with " + ", ".join(parts)
 
 
+def unrolled(steps: int, momentum: float = LAMBDA, feedback: bool = True) -> str:
+    """Rank-1 warm steps with memory in mean form: one set of tables for each step."""
+    parts = [QTR, start(1), f"a as (select step, i, j, sum(v) / {W} as v from m group by all)", "z as (select 0 as i, 0 as j, 0.0::double as v where false)"]
+    e, k, x = "z", "z", "z"
+    for t in range(steps):
+        old = f" union all from {e}" if feedback else ""
+        parts += [
+            f"d{t} as (select i, j, sum(v) as v from (select i, j, v from a where step = {t}{old}) group by all)",
+            f"p{t} as (select i, sum(v * q) as p from d{t} join {'q0' if not t else f'f{t - 1}'} using (j) group by i)",
+            f"u{t} as (select i, p / sqrt(sum(p * p) over ()) as p from p{t})",
+            f"f{t} as (select j, sum(v * p) as q from d{t} join u{t} using (i) group by j)",
+            f"r{t} as (select i, j, p * q as v from u{t}, f{t})",
+            f"e{t} as (select i, j, sum(v) as v from (from d{t} union all select i, j, -v from r{t}) group by all)",
+            f"k{t} as (select i, j, sum(v) as v from (select i, j, {momentum} * v as v from {k} union all from r{t}) group by all)",
+            f"x{t} as (select i, j, sum(v) as v from (from {x} union all select i, j, -{LR} * v from r{t} union all select i, j, -{LR} * v from k{t}) group by all)",
+        ]
+        e, k, x = f"e{t}", f"k{t}", f"x{t}"
+    return "with " + ", ".join(parts)
+
+
 def oracle_sql() -> dict[str, str]:
     avg = f"select step, i, j, round(sum(v) / {W}, 4) + 0.0 as v"
     f = f"(i * {M} + j)"
@@ -65,6 +85,15 @@ def oracle_sql() -> dict[str, str]:
         "lr_schedule": "select cast(e as integer) as epoch, round(case when e < 5 then 0.1::double + 1.5::double * e / 5 else 1.6::double end * pow(0.1::double, (e >= 150)::int + (e >= 250)::int), 9) as lr from range(300) t(e)",
         "cold_step": sweep(1, True) + f" select step, i, j, {CELL} from r",
     }
+    state = f" select i, j, {CELL} from "
+    o |= {
+        "warm_track_3": unrolled(3, feedback=False) + " select j, round(q, 4) + 0.0 as v from f2",
+        "efm_step_1": unrolled(1) + state + "x0",
+        "efm_two_steps": unrolled(2) + state + "x1",
+        "efm_no_momentum": unrolled(2, momentum=0.0) + state + "x1",
+        "no_feedback_step": unrolled(2, feedback=False) + state + "x1",
+        "svd_energy": f"with {QTR}, a as (select step, i, j, sum(v) / {W} as v from m group by all) select step, round(sum(v * v), 2) as energy from a group by step",
+    }
     for rank in (1, 2):
         w = sweep(rank)
         o[f"orthogonalize_r{rank}"] = w + " select step, i, c, round(p, 4) + 0.0 as v from u"

@@ -9,7 +9,8 @@ from pyspark.sql import functions as F
 
 from .operators import lowrank as L
 from .operators import sparse as S
-from .plans import costs
+from .operators import spectral as X
+from .plans import costs, loop
 from .sources import gradients as G
 
 W = 4
@@ -36,6 +37,27 @@ def step_of(rank: int, cold: bool = False):
     return parts
 
 
+LR, LAMBDA = 0.01, 0.9
+
+
+def after(steps: int, part: str = "parameters", **how):
+    """A part of the optimizer's state after so many quarters, with warm low-rank steps of rank 1."""
+
+    def run(spark: SparkSession, sf_dir: str) -> DataFrame:
+        state = loop.run(G.quarterly(spark, sf_dir, W), list(range(steps)), loop.low_rank(M, 1), W, LR, **({"momentum": LAMBDA} | how))
+        out = getattr(state, part)
+        return out.select("j", (F.round(F.col("q")[0], 4) + F.lit(0.0)).alias("v")) if part == "carried" else out.select("i", "j", (F.round("v", 4) + F.lit(0.0)).alias("v"))
+
+    return run
+
+
+def excess(spark: SparkSession, sf_dir: str, rank: int) -> DataFrame:
+    """Relative error of the best matrix of a rank."""
+    s = X.singular_values(G.quarterly(spark, sf_dir, W), N, M, W)
+    kept = F.sum(F.when(F.col("t") < rank, F.col("sigma") * F.col("sigma")).otherwise(0.0))
+    return s.groupBy("step").agg(F.round(F.sqrt(F.greatest(F.lit(0.0), 1 - kept / F.sum(F.col("sigma") * F.col("sigma")))), 5).alias("residual"))
+
+
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
     q: dict[str, Callable[[SparkSession, str], DataFrame]] = {
         "grad_qtr": lambda s, d: cells(G.quarterly(s, d, W)),
@@ -55,6 +77,16 @@ def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
         "cost_model": lambda s, d: costs.exchange(s, 0.05, 1e-6, 8e6),
         "lr_schedule": lambda s, d: costs.rates(s),
     }
+    q |= {
+        "warm_track_3": after(3, "carried", feedback=False),
+        "efm_step_1": after(1),
+        "efm_two_steps": after(2),
+        "efm_no_momentum": after(2, momentum=0.0),
+        "no_feedback_step": after(2, feedback=False),
+        "svd_energy": lambda s, d: X.singular_values(G.quarterly(s, d, W), N, M, W).groupBy("step").agg(F.round(F.sum(F.col("sigma") * F.col("sigma")), 2).alias("energy")),
+        "best_rank_residual": lambda s, d: excess(s, d, 2),
+        "spectral_sampling_step": lambda s, d: cells(X.spectral_sampling(G.quarterly(s, d, W), N, M, 2.0, W)),
+    }
     for rank in (1, 2):
         parts = step_of(rank)
         q[f"orthogonalize_r{rank}"] = lambda s, d, f=parts: factor(f(s, d)[1], "p")

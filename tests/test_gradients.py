@@ -1,10 +1,13 @@
 import duckdb
+import numpy as np
 import pytest
 from pyspark.sql import functions as F
 
 from rankfeed import oracles, queries
 from rankfeed.operators import lowrank as L
 from rankfeed.operators import sparse as S
+from rankfeed.operators import spectral as X
+from rankfeed.plans import loop
 from tests.conftest import SF, TABLES
 
 
@@ -50,3 +53,30 @@ def test_top_k_breaks_ties_by_position(spark):
 def test_even_vote_is_zero(spark):
     m = spark.createDataFrame([(0, 0, 0, 0, 2.0), (0, 1, 0, 0, -1.0)], "step int, worker int, i int, j int, v double")
     assert S.sign_vote(m).first()["v"] == 0
+
+
+def test_keep_probabilities_use_the_budget():
+    p = X.keep_probabilities(np.array([10.0, 1, 1, 0]), 2)
+    assert p.sum() == pytest.approx(2) and p.max() == 1 and p[3] == 0
+
+
+def test_best_rank_is_not_worse_than_a_sweep(spark):
+    rows = [[(3 * i + 5 * j) % 7 for j in range(5)] for i in range(4)]
+    m = matrix(spark, rows)
+    a = np.array(rows, float)
+    best = np.zeros_like(a)
+    for r in X.best_rank(m, 4, 5, 2, 1).collect():
+        best[r.i, r.j] = r.v
+    sweep = L.residual(m, L.compress(m, L.start_factor(spark, 5, 2), 2, 1)[1], 2, 1).first()["residual"]
+    assert np.linalg.norm(a - best) / np.linalg.norm(a) <= sweep + 1e-9
+
+
+@pytest.mark.parametrize("compressor", [loop.identity, loop.low_rank(3, 1), loop.low_rank(3, 1, warm=False), loop.top_k(2, 3)])
+def test_feedback_loses_nothing(spark, compressor):
+    """Updates so far plus the mean memory are the sum of all gradients."""
+    g = matrix(spark, [[1, 2, 3], [4, 0, -2]], workers=2).unionByName(matrix(spark, [[0, 1, 5], [2, 2, 2]], workers=2).withColumn("step", F.lit(1)))
+    state = loop.run(g, [0, 1], compressor, 2, 0.5, momentum=0.0)
+    sent = {(r.i, r.j): -r.v for r in state.parameters.collect()}  # each update counts twice without momentum, times 0.5
+    kept = {(r.i, r.j): r.v for r in L.mean(state.memory.withColumn("step", F.lit(0)), 2).collect()}
+    want = {(r.i, r.j): r.v / 2 for r in g.groupBy("i", "j").agg(F.sum("v").alias("v")).collect()}
+    assert {k: round(sent.get(k, 0) + kept.get(k, 0), 9) for k in want} == pytest.approx(want)
