@@ -31,6 +31,8 @@ REACH = 48
 BLOCK = 8
 ITEMS = 4096
 GRAM = 5
+SOME = 64  # passages whose block bounds are taken at once
+SLACK = 1e-4  # bounds are 32-bit sums
 _word = re.compile(r"\w+").findall
 
 
@@ -92,17 +94,28 @@ class Index:
         half = np.add.reduceat(self.term_max[term], starts)
         bound = half + np.append(half[1:], 0)
         found: set[int] = set()
-        for k in np.flatnonzero(bound >= threshold):
-            passage = term[k * REACH : (k + 2) * REACH]
-            passage = passage[passage > 0]
-            open_blocks = np.flatnonzero(self.block_max[passage].sum(0) >= threshold)
-            if len(open_blocks):
-                at = np.ix_(passage, open_blocks)
-                starts, lengths = self.begin[at].ravel(), self.sizes[at].ravel().astype(np.int64)
-                at = np.repeat(starts - np.cumsum(lengths) + lengths, lengths)
+        for first in range(0, len(starts), SOME):
+            mine = np.arange(first, min(first + SOME, len(starts)))
+            if not (bound[mine] >= threshold - SLACK).any():
+                continue
+            words = term[first * REACH : (first + SOME + 1) * REACH]
+            part = np.add.reduceat(self.block_max[words], np.arange(0, len(words), REACH))
+            part = part[: len(mine)] + np.concatenate([part[1:], np.zeros((1, part.shape[1]), part.dtype)])[: len(mine)]
+            reach = part >= threshold - SLACK
+            if reach.any():
+                # both halves of a passage are scored, once for the two passages that share one
+                wanted = np.zeros((len(mine) + 1, reach.shape[1]), bool)
+                wanted[:-1] |= reach
+                wanted[1:] |= reach
+                known = np.flatnonzero(words)
+                word, block = np.nonzero(wanted[known // REACH] & (self.sizes[words[known]] > 0))
+                word = known[word]
+                begin, lengths = self.begin[words[word], block], self.sizes[words[word], block].astype(np.int64)
+                at = np.repeat(begin - np.cumsum(lengths) + lengths, lengths)
                 at += np.arange(len(at))
-                score = np.bincount(self.segment[at], self.weight[at], len(self.owner))
-                found.update(self.owner[score >= threshold].tolist())
+                cell = np.repeat(word // REACH, lengths) * len(self.owner) + self.segment[at]
+                score = np.bincount(cell, self.weight[at], (len(mine) + 1) * len(self.owner)).reshape(len(mine) + 1, -1)
+                found.update(self.owner[(score[:-1] + score[1:] >= threshold).any(0)].tolist())
         return found
 
     def known_grams(self, term: np.ndarray) -> set[tuple[int, ...]]:
