@@ -4,9 +4,10 @@ Test items are cut into segments of at most ``REACH`` words and indexed: per ter
 largest weight. Weights are BM25 contributions divided by the segment's score against itself, so one threshold fits all. Each passage
 (``2 * REACH`` words, stepping by ``REACH``) is a query. The pivot test runs for all passages of a batch at once: first the sum of
 term maxima, then per block the sum of block maxima; only (passage, block) pairs that can reach the threshold are scored exactly. A document
-counts as contaminated if it holds enough word 5-grams of both the question and the answer of a retrieved item.
+counts as contaminated if it holds enough word 5-grams of both the question and the answer of a retrieved item. A question, answer or whole item
+of fewer than five words must be there in full, as one run of words: a one-word answer anywhere in the document is enough, besides its question.
 
-An item's question ends at its first question mark; an item without one is divided in the middle.
+An item's question ends at its first question mark; an item without one is divided in the middle, and one of fewer than ten words is not divided.
 
 The index is built per block of ``ITEMS`` test items and documents pass once for each block, so what travels to the tasks is bounded.
 Defined cases: null or empty texts and items match nothing; repeated items are listed each; an empty table gives an empty result.
@@ -65,6 +66,7 @@ class Index:
         mean = sum(len(ws) for _, ws in segments) / max(1, len(segments))
         self.terms = {w: k + 1 for k, w in enumerate(df)}
         self.sides = [[{tuple(self.terms[w] for w in g) for g in side} for side in sides] for sides in self.sides]
+        self.widths = [[len(next(iter(side))) for side in sides] for sides in self.sides]  # GRAM, or all words of a shorter side
         self.blocks = -(-len(segments) // BLOCK)
         self.block_max = np.zeros((len(df) + 1, max(1, self.blocks)), np.float32)
         postings: dict[int, list[tuple[int, float]]] = defaultdict(list)
@@ -118,12 +120,12 @@ class Index:
                 found.update(self.owner[(score[:-1] + score[1:] >= threshold).any(0)].tolist())
         return found
 
-    def known_grams(self, term: np.ndarray) -> set[tuple[int, ...]]:
+    def known_grams(self, term: np.ndarray, width: int) -> set[tuple[int, ...]]:
         """Grams of a text that have terms of the index only; no other gram can be in an item."""
-        if len(term) < GRAM:
-            return grams(term.tolist())
-        whole = np.convolve(term > 0, np.ones(GRAM, int), "valid") == GRAM
-        return set(map(tuple, np.lib.stride_tricks.sliding_window_view(term, GRAM)[whole].tolist()))
+        if len(term) < width:
+            return set()
+        whole = np.convolve(term > 0, np.ones(width, int), "valid") == width
+        return set(map(tuple, np.lib.stride_tricks.sliding_window_view(term, width)[whole].tolist()))
 
     def hits(self, texts: pa.Array, threshold: float, overlap: float) -> list[list[int]]:
         w = split(texts, ascii_only=False)
@@ -136,8 +138,8 @@ class Index:
             index = index[real[index]]
             near = self.search(code[index], threshold)
             if near:
-                own = self.known_grams(code[index])
-                near = {k for k in near if all(len(side & own) >= overlap * len(side) for side in self.sides[k])}
+                own = {n: self.known_grams(code[index], n) for n in {n for k in near for n in self.widths[k]}}
+                near = {k for k in near if all(len(side & own[n]) >= overlap * len(side) for side, n in zip(self.sides[k], self.widths[k], strict=True))}
             out.append(sorted(self.ids[k] for k in near))
         return out
 

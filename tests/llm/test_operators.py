@@ -81,6 +81,15 @@ def test_decontamination_finds_items_only():
     assert index.hits(pa.array([f"{filler} {item.upper()} {filler}", filler, "", item.split("?")[0]]), 0.5, 0.6) == [[7], [], [], []]
 
 
+def test_decontamination_finds_short_sides_and_items():
+    ask = "which city on the banks of the long grey river has the oldest iron tower of all?"
+    short = "what is it? the lantern of the seven northern winds above the harbour"
+    index = decontamination.Index([(1, f"{ask} Lutetia"), (2, "seven amber herons"), (3, short), (4, "obsidian"), (5, f"{ask} the old Lutetia")])
+    filler = " ".join(f"word{k}" for k in range(300))
+    texts = [f"{filler} {ask} Lutetia. {filler}", f"{filler} {ask} Massalia {filler}", f"{filler} Seven amber herons, {filler}", "the seven amber herons", "herons amber seven", f"{filler} {short}", f"{filler} obsidian", f"{ask} the old lutetia"]
+    assert index.hits(pa.array(texts), 0.5, 0.6) == [[1], [], [2], [2], [], [3], [4], [1, 5]]
+
+
 def test_html_rules():
     page = "<html><body><nav>menu</nav><article><h1>T &amp; U</h1><p>one\n two<p>three<div class='comments'>no</div></article><footer>f</footer></body></html>"
     assert html_text.scan(page)[0] == ["T & U", "one two", "three"]
