@@ -96,6 +96,24 @@ def test_html_rules():
     assert html_text.scan("")[0] == []
 
 
+def extracted(spark, pages):
+    rows = ship(spark).createDataFrame([(k, url, page) for k, (url, page) in enumerate(pages)], "page_id long, url string, html string")
+    out = {r.page_id: r for r in html_text.extract(rows).collect()}
+    assert len(out) == len(pages) and all(r.n_chars == len(r.text) for r in out.values())
+    return [out[k].text for k in range(len(pages))]
+
+
+def test_html_copies_and_quoted_paragraphs_stay(spark):
+    copy = "<html><body><div>home</div><article><h1>Title</h1><p>text one</p></article></body></html>"
+    plain = "<html><body><p>alpha text</p><p>beta text</p></body></html>"
+    quoted = [("http://q/", f"<body><article><p>a motto for all</p><p>story {k}</p></article></body>") for k in range(10)]
+    beside = [("http://m/", f"<body><main><div>read more here</div><article><p>piece {k}</p></article></main></body>") for k in range(10)]
+    got = extracted(spark, [("http://c/", copy)] * 10 + [("http://d/", plain)] * 10 + quoted + beside + [(None, plain), ("http://e/", None)])
+    assert got[:10] == ["Title\ntext one"] * 10 and got[10:20] == ["alpha text\nbeta text"] * 10
+    assert got[20:30] == [f"a motto for all\nstory {k}" for k in range(10)]
+    assert got[30:40] == [f"piece {k}" for k in range(10)] and got[40:] == ["alpha text\nbeta text", ""]
+
+
 def test_warc_round_trip(spark):
     big = "ü" * 600
     rows = [(1, "http://a/", big), (2, None, big), (3, "http://b/\r\n", None), (4, "http://a/", "small"), (5, "x", "small")]
