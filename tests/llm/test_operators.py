@@ -114,6 +114,15 @@ def test_html_copies_and_quoted_paragraphs_stay(spark):
     assert got[30:40] == [f"piece {k}" for k in range(10)] and got[40:] == ["alpha text\nbeta text", ""]
 
 
+def test_html_rotating_block_of_a_large_host_goes(spark):
+    block = lambda k: f"<div>offer of week {k % 20}</div>"
+    pages = [("http://big/", f"<body>{block(k)}<p>own story {k}</p></body>") for k in range(200)]
+    pages += [("http://big/", f"<body><main>{block(k)}<article><p>tale {k}</p></article>{block(k + 1)}</main></body>") for k in range(200)]
+    got = extracted(spark, pages + [("http://big/", f"<body><div>rare words</div><p>last story {k}</p></body>") for k in range(4)])
+    assert got[:200] == [f"own story {k}" for k in range(200)] and got[200:400] == [f"tale {k}" for k in range(200)]
+    assert got[400:] == [f"rare words\nlast story {k}" for k in range(4)]
+
+
 def test_warc_round_trip(spark):
     big = "ü" * 600
     rows = [(1, "http://a/", big), (2, None, big), (3, "http://b/\r\n", None), (4, "http://a/", "small"), (5, "x", "small")]
