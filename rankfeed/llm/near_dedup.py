@@ -3,7 +3,8 @@
 1. *Registers.* A document's set of five-word shingles is hashed once. The low bits of a hash name a bucket; of the rest, the bucket
    keeps its minimum as a leading-zero count (6 bits) and a mantissa (10 bits): two bytes. Empty buckets borrow from a
    filled one by a fixed random walk, so short documents band like long ones.
-2. *Classes of equal sets* collapse first, by a digest of the whole set: a group of copies is one representative from then on.
+2. *Classes of equal sets* collapse first, by a digest of the whole set: a group of copies is one representative from then on. Representatives are
+   numbered in the order of their smallest ids; numbers, never ids, stand for them in all later steps.
 3. *Bands* of four registers give buckets of candidates. First round: each member against the smallest id of its bucket (its hub),
    never all pairs. Components follow. Second round: only members of one bucket that are in different components meet.
 4. *Estimate, then verify.* Register matches minus the expected accidental ones estimate the similarity; pairs far below the
@@ -13,7 +14,9 @@ A pair at the threshold misses all 32 bands with probability below 1e-5; pairs i
 Shuffles carry ids, bands and registers; shingle sets move only for documents that have a candidate.
 
 Defined cases: null or empty texts (white space only, too) have an empty set, link with nothing and are kept. Fewer than five words make
-one shingle. A null id ranks below all others. Repeated ids form one class. An empty table gives an empty result. Other columns are ignored.
+one shingle. Every row stands for itself: null ids and repeated ids link nothing. A class is named by its smallest id (null if it has none),
+so classes that share a repeated id, or have none, share a name; ``kept`` marks exactly one row of each. An empty table gives an empty result.
+Other columns are ignored.
 """
 
 from __future__ import annotations
@@ -23,10 +26,10 @@ from collections.abc import Iterator
 import numpy as np
 import pyarrow as pa
 import xxhash
-from pyspark.sql import Column, DataFrame, Window
+from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
-from .runtime import attach, written
+from .runtime import attach, text_of, written
 from .words import pieces, split, texts_of
 
 WIDTH = 5
@@ -111,7 +114,7 @@ def bands(codes: np.ndarray) -> np.ndarray:
 
 
 def signed(docs: DataFrame) -> DataFrame:
-    """``id, n, digest, codes, bands`` of each row of ``id, text``."""
+    """``id, tag, stamp, n, digest, codes, bands`` of each row of ``id, text, tag, stamp``."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for b in pieces(batches, "text"):
@@ -121,11 +124,11 @@ def signed(docs: DataFrame) -> DataFrame:
             raw = [found[x:y].tobytes() for x, y in zip(bounds[:-1], bounds[1:], strict=True)]
             offsets = pa.array(np.arange(len(keys) + 1) * keys.shape[1], pa.int32())
             yield pa.RecordBatch.from_arrays(
-                [b.column("id"), pa.array(np.diff(bounds), pa.int64()), pa.array([xxhash.xxh3_128_digest(r) for r in raw], pa.binary()), pa.array([c.tobytes() for c in codes], pa.binary()), pa.ListArray.from_arrays(offsets, pa.array(keys.reshape(-1)))],
-                names=["id", "n", "digest", "codes", "bands"],
+                [b.column("id"), b.column("tag"), b.column("stamp"), pa.array(np.diff(bounds), pa.int64()), pa.array([xxhash.xxh3_128_digest(r) for r in raw], pa.binary()), pa.array([c.tobytes() for c in codes], pa.binary()), pa.ListArray.from_arrays(offsets, pa.array(keys.reshape(-1)))],
+                names=["id", "tag", "stamp", "n", "digest", "codes", "bands"],
             )
 
-    return docs.mapInArrow(run, "id long, n long, digest binary, codes binary, bands array<long>")
+    return docs.mapInArrow(run, "id long, tag long, stamp binary, n long, digest binary, codes binary, bands array<long>")
 
 
 def sets_of(docs: DataFrame) -> DataFrame:
@@ -161,11 +164,24 @@ def estimated(pairs: DataFrame, reps: DataFrame, percent: int) -> DataFrame:
     return pairs.join(left, "a").join(right, "b").select("a", "b", "codes", "codes_b", "n", "n_b").mapInArrow(run, "a long, b long")
 
 
-def verified(pairs: DataFrame, docs: DataFrame, percent: int) -> DataFrame:
+def tagged(docs: DataFrame, id_col: str, text_col: str) -> DataFrame:
+    """``docs`` with a digest of the text, ``__stamp``, and a hash of id and text, ``__tag``."""
+    stamped = docs.withColumn("__stamp", F.unhex(F.md5(text_of(text_col))))
+    return stamped.withColumn("__tag", F.xxhash64(F.col(id_col).cast("long"), "__stamp"))
+
+
+def frequent(rows: DataFrame, total: int) -> DataFrame:
+    """``tag, group_size`` of the pairs of id and text on so many rows that a join must not shuffle them."""
+    return rows.groupBy("tag").agg(F.count(F.lit(1)).alias("group_size")).where(F.col("group_size") > max(1000, total // 1000))
+
+
+def verified(pairs: DataFrame, docs: DataFrame, full: DataFrame, hot: DataFrame, total: int, percent: int) -> DataFrame:
     """Pairs ``a, b`` confirmed on full sets; a hub ``b`` with many partners is salted, so its partners spread over tasks."""
     hubs = pairs.groupBy("b").agg(F.count(F.lit(1)).alias("partners")).withColumn("salts", F.ceil(F.col("partners") / 200).cast("int"))
     needed = pairs.select(F.col("a").alias("id")).union(pairs.select(F.col("b").alias("id"))).distinct()
-    one_each = docs.join(needed, "id", "left_semi").groupBy("id").agg(F.min("text").alias("text"))
+    wanted = full.select("id", "tag", F.col("stamp").alias("own")).join(needed, "id").join(hot, "tag", "full").select("tag", "id", "own", F.coalesce("group_size", F.lit(1)).alias("group_size"))
+    held = attach(docs.select("tag", "stamp", "text"), wanted, "tag", total, how="inner")
+    one_each = held.where("stamp = own").groupBy("id").agg(F.first("text").alias("text"))
     sets = written(sets_of(one_each), "sets")
     salted = pairs.join(sets.withColumnRenamed("id", "a"), "a").withColumn("salt_seed", F.xxhash64("a"))
     of_hub = hubs.join(sets.withColumnRenamed("id", "b").withColumnRenamed("items", "items_b"), "b")
@@ -194,20 +210,23 @@ def components(edges: DataFrame) -> DataFrame:
     return label.select("id", "root")
 
 
-def classes(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", percent: int = 75) -> DataFrame:
-    """One row per input row: ``doc_id, n_shingles, component_id, kept``."""
-    base = docs.select(F.coalesce(F.col(id_col).cast("long"), F.lit(NULL_ID)).alias("id"), F.col(text_col).alias("text"))
-    rows = written(signed(base), "registers")
+def judged(docs: DataFrame, id_col: str, text_col: str, percent: int) -> tuple[DataFrame, DataFrame, int]:
+    """``id, tag, stamp, n, component, kept`` of each row, the frequent pairs of id and text, and the number of rows."""
+    base = tagged(docs.select(F.col(id_col).cast("long").alias("id"), F.col(text_col).alias("text")), "id", "text").withColumnsRenamed({"__stamp": "stamp", "__tag": "tag"})
+    rows = written(signed(base).withColumn("row", F.monotonically_increasing_id()), "registers")
     total = rows.count()
-    groups = written(rows.where("n > 0").groupBy("digest").agg(F.min("id").alias("rep"), F.count(F.lit(1)).alias("group_size")), "digests")
-    full = written(rows.where("n > 0").join(groups.select("digest", F.col("rep").alias("id")), ["digest", "id"], "left_semi").groupBy("id", "digest").agg(F.first("n").alias("n"), F.first("codes").alias("codes"), F.first("bands").alias("bands")), "representatives")
+    hot = written(frequent(rows, total), "frequent")
+    first_row = F.min(F.struct(F.col("id").isNull().alias("none"), "id", "row")).alias("first")
+    found = rows.where("n > 0").groupBy("digest").agg(first_row, F.count(F.lit(1)).alias("group_size")).select("digest", "group_size", "first.none", F.col("first.id").alias("least_id"), "first.row")
+    groups = written(found.orderBy("none", "least_id", "digest").withColumn("rep", F.monotonically_increasing_id()), "digests")
+    full = written(rows.drop("id", "digest").join(groups.select("row", F.col("rep").alias("id")), "row").select("id", "tag", "stamp", "n", "codes", "bands"), "representatives")
     reps = full.select("id", "n", "codes")
     spread = written(full.select("id", F.explode("bands").alias("band")), "bands")
     sizes = spread.groupBy("band").agg(F.min("id").alias("hub"), F.count(F.lit(1)).alias("group_size")).where("group_size > 1")
     shared = written(sizes, "buckets")
     member = written(attach(spread, shared, "band", total * BUCKETS // ROWS, how="inner"), "members")
     star = written(member.where("id <> hub").select(F.col("id").alias("a"), F.col("hub").alias("b")).distinct(), "stars")
-    first = written(verified(written(estimated(star, reps, percent), "pairs"), base, percent), "links")
+    first = written(verified(written(estimated(star, reps, percent), "pairs"), base, full, hot, total, percent), "links")
     root = written(components(first), "roots")
     named = member.select("band", "id").join(root, "id", "left").select("band", "id", F.coalesce("root", "id").alias("root"))
     split_up = written(named.groupBy("band").agg(F.min("root").alias("low"), F.max("root").alias("high")).where("low < high").select("band"), "open")
@@ -215,28 +234,30 @@ def classes(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", per
     x, y = open_rows.select("band", F.col("id").alias("a"), F.col("root").alias("ra")), open_rows.select("band", F.col("id").alias("b"), F.col("root").alias("rb"))
     rest = x.join(y, "band").where("ra <> rb and b < a").select("a", "b").distinct().join(star, ["a", "b"], "left_anti")
     rest = written(estimated(written(rest, "open_pairs"), reps, percent), "pairs")
-    links = first if rest.isEmpty() else first.unionByName(written(verified(rest, base, percent), "links"))
-    final = first_roots = root if links is first else written(components(links), "roots")
-    # ids that carry several texts join their classes
-    ids = rows.where("n > 0").groupBy("id").agg(F.min("digest").alias("least"), F.max("digest").alias("most")).where("least <> most").select("id")
-    if not ids.isEmpty():
-        own = rows.where("n > 0").join(ids, "id", "left_semi").select("id", "digest").distinct().join(groups, "digest").select(F.col("id").alias("a"), F.col("rep").alias("b"))
-        final = written(components(links.unionByName(own)), "roots")
-    else:
-        final = first_roots
-    named_groups = groups.join(final.withColumnRenamed("id", "rep"), "rep", "left").select("digest", "group_size", F.coalesce("root", "rep").alias("component"))
-    out = attach(rows.where("n > 0").select("id", "n", "digest"), named_groups, "digest", total, how="inner").select("id", "n", "component")
-    empty = rows.where("n = 0").select("id", "n", F.col("id").alias("component"))
+    links = first if rest.isEmpty() else first.unionByName(written(verified(rest, base, full, hot, total, percent), "links"))
+    final = root if links is first else written(components(links), "roots")
+    rooted = groups.join(final.withColumnRenamed("id", "rep"), "rep", "left").select("digest", "group_size", F.col("row").alias("chosen"), "rep", F.coalesce("root", "rep").alias("root"))
+    names = groups.select(F.col("rep").alias("root"), F.col("least_id").alias("component"))
+    members = rooted.groupBy("root").agg(F.count(F.lit(1)).alias("members"))
+    named_groups = attach(rooted, names.join(members, "root"), "root", total, size="members", how="inner").select("digest", "group_size", "chosen", "component", (F.col("rep") == F.col("root")).alias("leads"))
+    out = attach(rows.where("n > 0").select("id", "tag", "stamp", "n", "digest", "row"), named_groups, "digest", total, how="inner")
+    out = out.select("id", "tag", "stamp", "n", "component", (F.col("leads") & (F.col("row") == F.col("chosen"))).alias("kept"))
+    empty = rows.where("n = 0").select("id", "tag", "stamp", "n", F.col("id").alias("component"), F.lit(True).alias("kept"))
+    return out.unionByName(empty), hot, total
 
-    def back(c: str) -> Column:
-        return F.nullif(F.col(c), F.lit(NULL_ID))
 
-    return out.unionByName(empty).select(back("id").alias("doc_id"), F.col("n").alias("n_shingles"), back("component").alias("component_id"), (F.col("id") == F.col("component")).alias("kept"))
+def classes(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", percent: int = 75) -> DataFrame:
+    """One row per input row: ``doc_id, n_shingles, component_id, kept``."""
+    return judged(docs, id_col, text_col, percent)[0].select(F.col("id").alias("doc_id"), F.col("n").alias("n_shingles"), F.col("component").alias("component_id"), "kept")
 
 
 def drop_near_duplicates(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", percent: int = 75) -> DataFrame:
-    """The rows of ``docs`` that stay, columns as given: the smallest id of each class, once if its row is repeated."""
-    keep = classes(docs, id_col, text_col, percent).where("kept").select(F.col("doc_id").alias("__keep")).distinct()
-    stay = docs.join(keep, docs[id_col].eqNullSafe(keep["__keep"]), "left_semi")
-    one = Window.partitionBy(F.col(id_col)).orderBy(F.xxhash64(F.col(text_col)))
-    return stay.withColumn("__n", F.row_number().over(one)).where("__n = 1").drop("__n")
+    """The rows of ``docs`` that stay, columns as given: one row with the smallest id of each class, and all rows with an empty set."""
+    rows, hot, total = judged(docs, id_col, text_col, percent)
+    keep = rows.where("kept").select("tag", F.col("stamp").alias("__own"), (F.col("n") == 0).alias("__empty")).distinct().join(hot, "tag", "full")
+    keep = keep.select(F.col("tag").alias("__tag"), "__own", "__empty", F.coalesce("group_size", F.lit(1)).alias("__size"))
+    known = tagged(docs, id_col, text_col)
+    stay = attach(known, keep, "__tag", total, size="__size", how="inner").where("__stamp = __own")
+    one = Window.partitionBy("__tag", "__stamp").orderBy("__empty")
+    once = stay.where("not __empty").withColumn("__n", F.row_number().over(one)).where("__n = 1")
+    return once.select(*docs.columns).unionByName(stay.where("__empty").select(*docs.columns))

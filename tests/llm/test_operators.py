@@ -50,6 +50,21 @@ def test_near_classes_match_brute_force(edge):
     assert near_dedup.drop_near_duplicates(docs).columns == docs.columns
 
 
+def test_rows_with_null_or_repeated_ids_stand_for_themselves(spark):
+    rng = random.Random(8)
+    text = lambda: " ".join(f"v{rng.randrange(5000)}" for _ in range(60))
+    a, b, c, d = text(), text(), text(), text()
+    rows = [(None, text()) for _ in range(6)] + [(None, a), (None, a + " end"), (5, b), (5, c), (9, c + " end"), (7, d), (7, d), (None, d), (None, None), (None, "")]
+    docs = ship(spark).createDataFrame([(k, t, "x") for k, t in rows], SCHEMA)
+    out = near_dedup.classes(docs).collect()
+    assert len(out) == len(rows) and sum(r.kept for r in out) == 12
+    assert [r.component_id for r in out if r.doc_id == 9] == [5]
+    assert sorted(r.component_id or 0 for r in out if r.doc_id is None) == [0] * 10 + [7]
+    kept = [(r.doc_id, r.text) for r in near_dedup.drop_near_duplicates(docs).collect()]
+    assert len(kept) == 12 and set(rows[:6]) <= set(kept) and sum(k is None and (t or "").startswith(a) for k, t in kept) == 1
+    assert {(5, b), (5, c), (7, d), (None, None), (None, "")} <= set(kept)
+
+
 def test_exact_dedup_edges(edge):
     docs, rows = edge
     out = exact_dedup.assign(docs).collect()
