@@ -1,4 +1,4 @@
-"""Indicator features of texts (words, word ends, word pairs) as hashed ids, computed once per distinct word of a batch."""
+"""Indicator features of texts (words, word ends (their last non-alphanumeric characters), pairs of neighbouring word ends (no pairs of words)) as hashed ids, computed once per distinct word of a batch."""
 
 from __future__ import annotations
 
