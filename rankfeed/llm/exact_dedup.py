@@ -22,7 +22,7 @@ import string
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
-from .runtime import text_of, written
+from .runtime import survivors, text_of, written
 
 FAN_IN = 64
 
@@ -59,16 +59,15 @@ def assign(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", winn
 
 
 def drop_duplicates(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", **options) -> DataFrame:
-    """The rows of ``docs`` that stay, columns as given.
+    """The rows of ``docs`` that stay, columns as given; decided on ids and digests, then one pass over the texts.
 
-    Kept (id, digest) pairs are unique but for rows repeated in full; those alone pass a second, narrow step.
+    Of rows with equal id and equal text any one stays.
     """
-    keep = assign(docs, id_col, text_col, **options).where("kept")
-    marks = keep.select(F.col("doc_id").alias("__keep"), F.col("text_sha256").alias("__digest"))
-    known = docs.withColumn("__digest_of", digest(text_of(text_col)))
-    stay = known.join(marks, known[id_col].eqNullSafe(marks["__keep"]) & (known["__digest_of"] == marks["__digest"]), "left_semi")
-    key = Window.partitionBy(F.col(id_col), F.col("__digest_of")).orderBy(F.lit(0))
-    return stay.withColumn("__n", F.row_number().over(key)).where("__n = 1").select(*[F.col(f"`{c}`") for c in docs.columns])
+    kept = written(assign(docs, id_col, text_col, **options).select("doc_id", F.col("text_sha256").alias("digest"), "kept"), "kept")
+    key, proof = (lambda id_, d: (F.xxhash64(id_, d), F.concat_ws(":", id_.cast("string"), d)))(F.col("doc_id"), F.col("digest"))
+    verdict = kept.select(key.alias("key"), proof.alias("proof"), "kept").groupBy("key", "proof").agg(F.count_if("kept").alias("stay"), F.count(F.lit(1)).alias("total"))
+    own = digest(text_of(text_col))
+    return survivors(docs, F.xxhash64(F.col(id_col), own), F.concat_ws(":", F.col(id_col).cast("string"), own), written(verdict, "verdict"), kept.count())
 
 
 ORACLE = f"""

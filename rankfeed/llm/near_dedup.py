@@ -3,20 +3,22 @@
 1. *Registers.* A document's set of five-word shingles is hashed once. The low bits of a hash name a bucket; of the rest, the bucket
    keeps its minimum as a leading-zero count (6 bits) and a mantissa (10 bits): two bytes. Empty buckets borrow from a
    filled one by a fixed random walk, so short documents band like long ones.
-2. *Classes of equal sets* collapse first, by a digest of the whole set: a group of copies is one representative from then on. Representatives are
-   numbered in the order of their smallest ids; numbers, never ids, stand for them in all later steps.
-3. *Bands* of four registers give buckets of candidates. First round: each member against the smallest id of its bucket (its hub),
-   never all pairs. Components follow. Second round: only members of one bucket that are in different components meet.
-4. *Estimate, then verify.* Register matches minus the expected accidental ones estimate the similarity; pairs far below the
-   threshold (six standard errors, long sets only) go. All others are confirmed on the full hashed sets.
+2. *Classes of equal sets* collapse first, by a digest of the whole set: a group of copies is one representative from then on.
+3. *Bands* of four registers give buckets of candidates. First round: each member against the hub of its bucket, the member that shares most
+   with others (the unedited text of a group, mostly), never all pairs. Components follow.
+4. *Estimate, then verify.* Register matches minus the expected accidental ones estimate the similarity; pairs six standard errors below the
+   threshold go. The error is that of the registers that a small set fills itself. All others are confirmed on the full hashed sets.
+5. *Second round*, exact: buckets whose members are in different components are open. The members of all open buckets go through a prefix join:
+   sets in one global order, rare shingles first, can reach the threshold only if they share a shingle in their first few, at places that leave
+   enough behind. So pairs that share a frequent passage only never meet, however many there are, and no bucket is capped.
 
 A pair at the threshold misses all 32 bands with probability below 1e-5; pairs in one component need no link of their own.
-Shuffles carry ids, bands and registers; shingle sets move only for documents that have a candidate.
+Shuffles carry ids, bands and registers; shingle sets move only for documents that share a bucket.
 
 Defined cases: null or empty texts (white space only, too) have an empty set, link with nothing and are kept. Fewer than five words make
 one shingle. Every row stands for itself: null ids and repeated ids link nothing. A class is named by its smallest id (null if it has none),
 so classes that share a repeated id, or have none, share a name; ``kept`` marks exactly one row of each. An empty table gives an empty result.
-Other columns are ignored.
+Other columns are ignored by ``classes`` and carried untouched by ``drop_near_duplicates``, whatever their names.
 """
 
 from __future__ import annotations
@@ -26,10 +28,10 @@ from collections.abc import Iterator
 import numpy as np
 import pyarrow as pa
 import xxhash
-from pyspark.sql import DataFrame, Window
+from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .runtime import attach, text_of, written
+from .runtime import Bits, attach, bits_for, discard, survivors, text_of, written
 from .words import pieces, split, texts_of
 
 WIDTH = 5
@@ -142,8 +144,16 @@ def sets_of(docs: DataFrame) -> DataFrame:
     return docs.mapInArrow(run, "id long, items array<long>")
 
 
-def estimated(pairs: DataFrame, reps: DataFrame, percent: int) -> DataFrame:
-    """Pairs ``a, b`` whose corrected estimate is not far below the threshold."""
+def standard_error(n: np.ndarray, t: float) -> np.ndarray:
+    """Of the share of equal registers, at similarity ``t``: borrowed registers count with those that they come from."""
+    filled = BUCKETS * -np.expm1(-np.maximum(n, 1.0) / BUCKETS)
+    borrowed = (BUCKETS - filled) / filled
+    independent = BUCKETS**2 / (filled * ((1 + borrowed) ** 2 + borrowed))
+    return np.sqrt(t * (1 - t) / independent)
+
+
+def estimated(pairs: DataFrame, known: DataFrame, percent: int) -> DataFrame:
+    """Pairs ``a, b`` whose corrected estimate is not far below the threshold; ``known`` has ``id, n, codes``."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for b in batches:
@@ -155,36 +165,24 @@ def estimated(pairs: DataFrame, reps: DataFrame, percent: int) -> DataFrame:
             accidental = 0.1699194871 * BUCKETS / (1 << MANTISSA) * 4 * ratio / (1 + ratio) ** 2
             guess = ((x == y).sum(1) - accidental) / (BUCKETS - accidental)
             t = percent / 100
-            low = t - 6 * np.sqrt(t * (1 - t) / BUCKETS)
-            keep = (100 * np.minimum(n, m) >= percent * np.maximum(n, m)) & ((guess >= low) | (np.minimum(n, m) < 8 * BUCKETS))
+            keep = (100 * np.minimum(n, m) >= percent * np.maximum(n, m)) & (guess >= t - 6 * standard_error(np.minimum(n, m), t))
             yield b.filter(pa.array(keep)).select(["a", "b"])
 
-    left = reps.select(F.col("id").alias("a"), "codes", "n")
-    right = reps.select(F.col("id").alias("b"), F.col("codes").alias("codes_b"), F.col("n").alias("n_b"))
+    left = known.select(F.col("id").alias("a"), "codes", "n")
+    right = known.select(F.col("id").alias("b"), F.col("codes").alias("codes_b"), F.col("n").alias("n_b"))
     return pairs.join(left, "a").join(right, "b").select("a", "b", "codes", "codes_b", "n", "n_b").mapInArrow(run, "a long, b long")
 
 
-def tagged(docs: DataFrame, id_col: str, text_col: str) -> DataFrame:
-    """``docs`` with a digest of the text, ``__stamp``, and a hash of id and text, ``__tag``."""
-    stamped = docs.withColumn("__stamp", F.unhex(F.md5(text_of(text_col))))
-    return stamped.withColumn("__tag", F.xxhash64(F.col(id_col).cast("long"), "__stamp"))
-
+def tagged(docs: DataFrame) -> DataFrame:
+    """``id, text`` with a digest of the text, ``stamp``, and a hash of both, ``tag``."""
+    return docs.withColumn("stamp", F.unhex(F.md5("text"))).withColumn("tag", F.xxhash64("id", "stamp"))
 
-def frequent(rows: DataFrame, total: int) -> DataFrame:
-    """``tag, group_size`` of the pairs of id and text on so many rows that a join must not shuffle them."""
-    return rows.groupBy("tag").agg(F.count(F.lit(1)).alias("group_size")).where(F.col("group_size") > max(1000, total // 1000))
 
-
-def verified(pairs: DataFrame, docs: DataFrame, full: DataFrame, hot: DataFrame, total: int, percent: int) -> DataFrame:
+def verified(pairs: DataFrame, sets: DataFrame, percent: int) -> DataFrame:
     """Pairs ``a, b`` confirmed on full sets; a hub ``b`` with many partners is salted, so its partners spread over tasks."""
     hubs = pairs.groupBy("b").agg(F.count(F.lit(1)).alias("partners")).withColumn("salts", F.ceil(F.col("partners") / 200).cast("int"))
-    needed = pairs.select(F.col("a").alias("id")).union(pairs.select(F.col("b").alias("id"))).distinct()
-    wanted = full.select("id", "tag", F.col("stamp").alias("own")).join(needed, "id").join(hot, "tag", "full").select("tag", "id", "own", F.coalesce("group_size", F.lit(1)).alias("group_size"))
-    held = attach(docs.select("tag", "stamp", "text"), wanted, "tag", total, how="inner")
-    one_each = held.where("stamp = own").groupBy("id").agg(F.first("text").alias("text"))
-    sets = written(sets_of(one_each), "sets")
-    salted = pairs.join(sets.withColumnRenamed("id", "a"), "a").withColumn("salt_seed", F.xxhash64("a"))
-    of_hub = hubs.join(sets.withColumnRenamed("id", "b").withColumnRenamed("items", "items_b"), "b")
+    salted = pairs.join(sets.select(F.col("id").alias("a"), "items"), "a").withColumn("salt_seed", F.xxhash64("a"))
+    of_hub = hubs.join(sets.select(F.col("id").alias("b"), F.col("items").alias("items_b")), "b")
     few, many = of_hub.where("salts = 1"), of_hub.where("salts > 1")
     wide = written(many.select("b", "salts"), "hubs")
     spread = salted.join(wide, "b", "left").withColumn("salt", F.coalesce(F.pmod("salt_seed", "salts"), F.lit(0)).cast("int"))
@@ -193,6 +191,70 @@ def verified(pairs: DataFrame, docs: DataFrame, full: DataFrame, hot: DataFrame,
     return spread.join(every, ["b", "salt"]).where(both * 100 >= percent * (F.size("items") + F.size("items_b") - both)).select("a", "b")
 
 
+LEVELS = 8
+
+
+def prefixes(sets: DataFrame, rare: list[tuple[np.ndarray, int]], percent: int) -> DataFrame:
+    """``token, id, root, n, place`` of the first shingles of each set of ``id, root, n, items``, in the order of (frequency class, hash).
+
+    The order needs only to be the same for all sets; the frequency class of a shingle is the number of bit tables that have it. Places from which
+    too little is left to reach the threshold with any partner are not listed, nor shingles that no other set has.
+    """
+    tables = sets.sparkSession.sparkContext.broadcast(rare)
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for b in batches:
+            if not b.num_rows:
+                continue
+            lists = b.column("items")
+            bounds = lists.offsets.to_numpy().astype(np.int64)
+            token = lists.values.to_numpy(zero_copy_only=False)[bounds[0] : bounds[-1]]
+            bounds = bounds - bounds[0]
+            n = np.diff(bounds)
+            row = np.repeat(np.arange(len(n)), n)
+            level = np.zeros(len(token), np.int64)
+            for bits, size in tables.value:
+                slot = np.mod(token, size)
+                level += (bits[slot >> 3] >> (slot & 7).astype(np.uint8)) & 1
+            order = np.lexsort((token, level, row))
+            token, level = token[order], level[order]
+            place = np.arange(len(token)) - bounds[row]
+            use = (level > 0) & ((n[row] - place) * 100 >= percent * n[row])
+            mine = pa.array(row[use])
+            yield pa.RecordBatch.from_arrays(
+                [pa.array(token[use]), b.column("id").take(mine), b.column("root").take(mine), pa.array(n[row[use]], pa.int64()), pa.array(place[use], pa.int64())],
+                names=["token", "id", "root", "n", "place"],
+            )
+
+    return sets.select("id", "root", "items").mapInArrow(run, "token long, id long, root long, n long, place long")
+
+
+def frequency_bits(often: DataFrame, rows: int) -> list[tuple[np.ndarray, int]]:
+    """Bit tables of the tokens in at least 2, 8, 32, ... sets, each of a bounded size, on the driver."""
+    size = bits_for(rows)
+    level = F.explode(F.sequence(F.lit(0), F.least(F.floor(F.log2(F.col("sets") / 2) / 2).cast("int"), F.lit(LEVELS - 1))))
+    slots = often.select(level.alias("level"), F.pmod("token", F.lit(size)).alias("slot"))
+    parts = slots.groupBy("level", F.expr("slot div 32768").alias("part")).agg(F.expr("bitmap_construct_agg(slot % 32768)").alias("bits")).collect()
+    out = [np.zeros(size // 8, np.uint8) for _ in range(1 + max((r.level for r in parts), default=-1))]
+    for r in parts:
+        out[r.level][r.part * 4096 : (r.part + 1) * 4096] = np.frombuffer(r.bits, np.uint8)
+    return [(bits, size) for bits in out]
+
+
+def prefix_pairs(sets: DataFrame, percent: int) -> DataFrame:
+    """Pairs ``a, b`` of ``id, root, n, items`` with different roots that may reach the threshold: every pair that does is among them."""
+    often = written(sets.select(F.explode("items").alias("token")).groupBy("token").agg(F.count(F.lit(1)).alias("sets")).where("sets > 1"), "often")
+    listed = written(prefixes(sets, frequency_bits(often, often.count()), percent), "prefixes")
+    # a frequent token's longer side is dealt over tasks, its shorter side repeated for each
+    wide = written(listed.groupBy("token").agg(F.ceil(F.count(F.lit(1)) / 1000).cast("int").alias("salts")).where("salts > 1"), "wide")
+    listed = listed.join(wide, "token", "left").withColumn("salts", F.coalesce("salts", F.lit(1)))
+    x = listed.select("token", F.pmod(F.xxhash64("id"), "salts").cast("int").alias("salt"), F.col("id").alias("a"), F.col("root").alias("ra"), F.col("n").alias("na"), F.col("place").alias("pa"))
+    short = listed.where(F.expr(f"(n - place) * {100 + percent} >= {2 * percent} * n"))
+    y = short.select("token", F.explode(F.sequence(F.lit(0), F.col("salts") - 1)).alias("salt"), F.col("id").alias("b"), F.col("root").alias("rb"), F.col("n").alias("nb"), F.col("place").alias("pb"))
+    fits = f"ra <> rb and (nb < na or (nb = na and b < a)) and nb * 100 >= {percent} * na and least(na - pa, nb - pb) * {100 + percent} >= {percent} * (na + nb)"
+    return x.join(y, ["token", "salt"]).where(fits).select("a", "b").distinct()
+
+
 def components(edges: DataFrame) -> DataFrame:
     """``id, root`` of every vertex of ``a, b``: smallest reachable id, by minimum labels with pointer jumping over written tables."""
     both = written(edges.select("a", "b").union(edges.select(F.col("b").alias("a"), F.col("a").alias("b"))).where("a <> b").distinct(), "edges")
@@ -210,54 +272,65 @@ def components(edges: DataFrame) -> DataFrame:
     return label.select("id", "root")
 
 
-def judged(docs: DataFrame, id_col: str, text_col: str, percent: int) -> tuple[DataFrame, DataFrame, int]:
-    """``id, tag, stamp, n, component, kept`` of each row, the frequent pairs of id and text, and the number of rows."""
-    base = tagged(docs.select(F.col(id_col).cast("long").alias("id"), F.col(text_col).alias("text")), "id", "text").withColumnsRenamed({"__stamp": "stamp", "__tag": "tag"})
+def representatives(rows: DataFrame, groups: DataFrame) -> DataFrame:
+    """The row of each group of equal sets that stands for it; only rows of groups of several are looked up."""
+    several = groups.where("group_size > 1")
+    copied = Bits.of(several.select(F.xxhash64("digest").alias("key")), "key", groups.count(), "copied")
+    known = copied.mark(rows.where("n > 0").withColumn("key", F.xxhash64("digest")), "key", "maybe").drop("key")
+    chosen = known.where("maybe").join(groups.select("row"), "row", "left_semi")
+    return known.where("not maybe").unionByName(chosen).drop("maybe", "id").withColumnRenamed("row", "id")
+
+
+def judged(docs: DataFrame, id_col: str, text_col: str, percent: int) -> DataFrame:
+    """``id, tag, stamp, n, component, kept`` of each row."""
+    base = tagged(docs.select(F.col(id_col).cast("long").alias("id"), text_of(text_col).alias("text")))
     rows = written(signed(base).withColumn("row", F.monotonically_increasing_id()), "registers")
     total = rows.count()
-    hot = written(frequent(rows, total), "frequent")
     first_row = F.min(F.struct(F.col("id").isNull().alias("none"), "id", "row")).alias("first")
-    found = rows.where("n > 0").groupBy("digest").agg(first_row, F.count(F.lit(1)).alias("group_size")).select("digest", "group_size", "first.none", F.col("first.id").alias("least_id"), "first.row")
-    groups = written(found.orderBy("none", "least_id", "digest").withColumn("rep", F.monotonically_increasing_id()), "digests")
-    full = written(rows.drop("id", "digest").join(groups.select("row", F.col("rep").alias("id")), "row").select("id", "tag", "stamp", "n", "codes", "bands"), "representatives")
-    reps = full.select("id", "n", "codes")
-    spread = written(full.select("id", F.explode("bands").alias("band")), "bands")
-    sizes = spread.groupBy("band").agg(F.min("id").alias("hub"), F.count(F.lit(1)).alias("group_size")).where("group_size > 1")
-    shared = written(sizes, "buckets")
-    member = written(attach(spread, shared, "band", total * BUCKETS // ROWS, how="inner"), "members")
-    star = written(member.where("id <> hub").select(F.col("id").alias("a"), F.col("hub").alias("b")).distinct(), "stars")
-    first = written(verified(written(estimated(star, reps, percent), "pairs"), base, full, hot, total, percent), "links")
-    root = written(components(first), "roots")
-    named = member.select("band", "id").join(root, "id", "left").select("band", "id", F.coalesce("root", "id").alias("root"))
-    split_up = written(named.groupBy("band").agg(F.min("root").alias("low"), F.max("root").alias("high")).where("low < high").select("band"), "open")
-    open_rows = written(named.join(split_up, "band", "left_semi"), "open_rows")
-    x, y = open_rows.select("band", F.col("id").alias("a"), F.col("root").alias("ra")), open_rows.select("band", F.col("id").alias("b"), F.col("root").alias("rb"))
-    rest = x.join(y, "band").where("ra <> rb and b < a").select("a", "b").distinct().join(star, ["a", "b"], "left_anti")
-    rest = written(estimated(written(rest, "open_pairs"), reps, percent), "pairs")
-    links = first if rest.isEmpty() else first.unionByName(written(verified(rest, base, full, hot, total, percent), "links"))
-    final = root if links is first else written(components(links), "roots")
-    rooted = groups.join(final.withColumnRenamed("id", "rep"), "rep", "left").select("digest", "group_size", F.col("row").alias("chosen"), "rep", F.coalesce("root", "rep").alias("root"))
-    names = groups.select(F.col("rep").alias("root"), F.col("least_id").alias("component"))
-    members = rooted.groupBy("root").agg(F.count(F.lit(1)).alias("members"))
-    named_groups = attach(rooted, names.join(members, "root"), "root", total, size="members", how="inner").select("digest", "group_size", "chosen", "component", (F.col("rep") == F.col("root")).alias("leads"))
+    found = rows.where("n > 0").groupBy("digest").agg(first_row, F.count(F.lit(1)).alias("group_size"))
+    groups = written(found.select("digest", "group_size", "first.none", F.col("first.id").alias("least_id"), "first.row"), "digests")
+    full = representatives(rows, groups)
+    spread = full.select("id", F.explode("bands").alias("band"))
+    shared = written(spread.groupBy("band").agg(F.count(F.lit(1)).alias("group_size")).where("group_size > 1"), "buckets")
+    likely = Bits.of(shared, "band", shared.count(), "bucket_bits").sift(spread, "band")
+    member = written(attach(likely, shared, "band", total * BUCKETS // ROWS, how="inner"), "members")
+    central = written(member.groupBy("id").agg(F.sum("group_size").alias("score")), "central")
+    near = Bits.of(central, "id", total, "member_bits").sift(full.select("id", "n", "codes", "tag", "stamp"), "id")
+    known = written(near.join(central, "id"), "contenders")
+    needed = Bits.of(known, "tag", total, "wanted").sift(base.select("tag", "stamp", "text"), "tag")
+    texts = needed.groupBy("tag", "stamp").agg(F.first("text").alias("text")).join(known.select("id", "tag", "stamp"), ["tag", "stamp"])
+    sets = written(sets_of(texts), "sets")
+    placed = written(member.drop("group_size").join(central, "id"), "placed")
+    hubs = placed.groupBy("band").agg(F.max(F.struct("score", "id")).alias("best"), F.count(F.lit(1)).alias("group_size")).select("band", "group_size", F.col("best.id").alias("hub"))
+    hubs = written(hubs, "hubs")
+    star = attach(placed.select("band", "id"), hubs, "band", total, how="inner").where("id <> hub").select(F.col("id").alias("a"), F.col("hub").alias("b")).distinct()
+    links = written(verified(written(estimated(star, known, percent), "pairs"), sets, percent), "links")
+    root = written(components(links), "roots")
+    named = written(placed.select("band", "id").join(root, "id", "left").select("band", "id", F.coalesce("root", "id").alias("root")), "named")
+    split_up = named.groupBy("band").agg(F.min("root").alias("low"), F.max("root").alias("high"), F.count(F.lit(1)).alias("group_size")).where("low < high").select("band", "group_size")
+    open_rows = attach(named, split_up, "band", total, how="inner").select("id", "root").distinct()
+    met = written(prefix_pairs(written(sets.join(open_rows, "id"), "open_sets"), percent), "open_pairs")
+    if not met.isEmpty():
+        links = links.unionByName(written(verified(met, sets, percent), "links"))
+        root = written(components(links), "roots")
+    discard(docs.sparkSession, member, placed, named, sets, known)
+    rooted = groups.join(root.withColumnRenamed("id", "row"), "row", "left").withColumn("root", F.coalesce("root", "row"))
+    class_of = rooted.groupBy("root").agg(F.min(F.struct("none", "least_id", "row")).alias("best"), F.count(F.lit(1)).alias("members"))
+    named_groups = attach(rooted.select("digest", "group_size", "root"), class_of, "root", total, size="members", how="inner").select("digest", "group_size", F.col("best.least_id").alias("component"), F.col("best.row").alias("chosen"))
     out = attach(rows.where("n > 0").select("id", "tag", "stamp", "n", "digest", "row"), named_groups, "digest", total, how="inner")
-    out = out.select("id", "tag", "stamp", "n", "component", (F.col("leads") & (F.col("row") == F.col("chosen"))).alias("kept"))
+    out = out.select("id", "tag", "stamp", "n", "component", (F.col("row") == F.col("chosen")).alias("kept"))
     empty = rows.where("n = 0").select("id", "tag", "stamp", "n", F.col("id").alias("component"), F.lit(True).alias("kept"))
-    return out.unionByName(empty), hot, total
+    return out.unionByName(empty)
 
 
 def classes(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", percent: int = 75) -> DataFrame:
     """One row per input row: ``doc_id, n_shingles, component_id, kept``."""
-    return judged(docs, id_col, text_col, percent)[0].select(F.col("id").alias("doc_id"), F.col("n").alias("n_shingles"), F.col("component").alias("component_id"), "kept")
+    return judged(docs, id_col, text_col, percent).select(F.col("id").alias("doc_id"), F.col("n").alias("n_shingles"), F.col("component").alias("component_id"), "kept")
 
 
 def drop_near_duplicates(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", percent: int = 75) -> DataFrame:
     """The rows of ``docs`` that stay, columns as given: one row with the smallest id of each class, and all rows with an empty set."""
-    rows, hot, total = judged(docs, id_col, text_col, percent)
-    keep = rows.where("kept").select("tag", F.col("stamp").alias("__own"), (F.col("n") == 0).alias("__empty")).distinct().join(hot, "tag", "full")
-    keep = keep.select(F.col("tag").alias("__tag"), "__own", "__empty", F.coalesce("group_size", F.lit(1)).alias("__size"))
-    known = tagged(docs, id_col, text_col)
-    stay = attach(known, keep, "__tag", total, size="__size", how="inner").where("__stamp = __own")
-    one = Window.partitionBy("__tag", "__stamp").orderBy("__empty")
-    once = stay.where("not __empty").withColumn("__n", F.row_number().over(one)).where("__n = 1")
-    return once.select(*docs.columns).unionByName(stay.where("__empty").select(*docs.columns))
+    marked = written(judged(docs, id_col, text_col, percent), "judged")
+    id_, stamp = F.col(id_col).cast("long"), F.md5(text_of(text_col))
+    verdict = marked.groupBy(F.col("tag").alias("key"), F.concat_ws(":", F.col("id").cast("string"), F.lower(F.hex("stamp"))).alias("proof")).agg(F.count_if("kept").alias("stay"), F.count(F.lit(1)).alias("total"))
+    return survivors(docs, F.xxhash64(id_, F.unhex(stamp)), F.concat_ws(":", id_.cast("string"), stamp), written(verdict, "verdict"), marked.count())
