@@ -38,7 +38,6 @@ WIDTH = 5
 BUCKETS = 128
 ROWS = 4
 MANTISSA = 10
-NULL_ID = -(1 << 63)
 _walk = np.random.default_rng(7).integers(0, BUCKETS, (4 * BUCKETS, BUCKETS))
 _odd = np.random.default_rng(11).integers(1, 1 << 62, ROWS + WIDTH, dtype=np.int64).astype(np.uint64) * np.uint64(2) + np.uint64(1)
 

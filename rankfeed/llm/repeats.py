@@ -4,13 +4,15 @@ A byte goes when a string of ``LENGTH`` bytes that covers it also starts anywher
 
 1. *Anchors.* Every window of ``LENGTH`` bytes selects, by its content alone, the leftmost smallest of its 32-byte grams. Equal windows
    select the same gram at the same place, so suffixes that start at selected grams (about one position in 85) stand for all.
-2. *Suffix array.* Anchors whose gram occurs once go. The others get their text around, are dealt by gram and sorted by the text to the
-   right, by Spark and with spilling: each partition is a part of the suffix array whose groups share at least the gram.
+2. *Suffix array.* A window that covers an anchor holds ``SIDE`` more bytes on its left or on its right, so anchors for which both of these longer
+   strings occur once go (bit tables of bounded size find nearly all of them before anything is shuffled). The others get their text around, are
+   dealt by gram and sorted by the text to the right, by Spark and with spilling: each partition is a part of the suffix array whose groups share
+   at least the gram.
 3. *Interval tree.* A stack scan of common-prefix lengths visits each interval once. Inside it, the order of left contexts shows which
    occurrences also agree to the left, and where their left extensions part: maximal repeats with all their occurrences.
 4. *Frequent grams.* A gram with more than ``most`` occurrences never meets in one task: its windows are counted, with map-side sums.
 
-Copies of a whole text are one representative throughout. Only texts with a repeated gram are read again and moved.
+Copies of a whole text are one representative throughout. Only texts with such an anchor are moved.
 
 Defined cases: null texts are empty, texts below ``LENGTH`` bytes lose nothing, null ids and repeated rows stay rows of their own (a repeated
 row is a copy), an empty table gives an empty result, and other columns are ignored.
@@ -27,13 +29,15 @@ import xxhash
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .near_dedup import NULL_ID, mix
-from .runtime import attach, written
+from .near_dedup import mix
+from .runtime import Bits, attach, discard, written
 from .words import pieces, texts_of
 
 LENGTH = 200
+NULL_ID = -(1 << 63)
 GRAM = 32
 LEFT = LENGTH - GRAM
+SIDE = LEFT // 2
 STEP = 1 << 17
 LOW = np.uint64((1 << 20) - 1)
 EMPTY_SHA = hashlib.sha256(b"").hexdigest()
@@ -59,22 +63,32 @@ def sliding_least(v: np.ndarray, width: int) -> np.ndarray:
     return np.minimum(v[: len(v) - (width - span)], v[width - span :]) if span < width else v
 
 
-def anchors(data: np.ndarray, bounds: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
-    """Selected positions of concatenated texts, ascending, and their gram hashes."""
+def anchors(data: np.ndarray, bounds: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray, np.ndarray]:
+    """Selected positions of concatenated texts, ascending, their gram hashes, and codes of the ``SIDE`` bytes before and behind (0 where a text has not so many)."""
     n = len(data)
     whole = np.ones(n, bool)  # a window that starts here ends in the same text
     for start, end in zip(bounds[:-1].tolist(), bounds[1:].tolist(), strict=True):
         whole[max(start, end - LENGTH + 1) : end] = False
-    places, hashes = [np.empty(0, np.int64)], [np.empty(0, np.uint64)]
+    places, hashes, lefts, rights = [np.empty(0, np.int64)], [np.empty(0, np.uint64)], [np.empty(0, np.int32)], [np.empty(0, np.int32)]
     for s in range(0, max(n - LENGTH + 1, 0), STEP):
-        g = grams(data[s : s + STEP + LENGTH - 1])
-        least = sliding_least((g & ~LOW) | np.arange(len(g), dtype=np.uint64), LEFT + 1)
-        at = (least & LOW).astype(np.int64)[whole[s : s + len(least)]]
-        at = np.unique(at)
+        before = min(s, SIDE)
+        g = grams(data[s - before : s + STEP + LENGTH - 1 + SIDE])
+        windows = min(n, s + STEP + LENGTH - 1) - s - GRAM + 1
+        least = sliding_least((g[before : before + windows] & ~LOW) | np.arange(windows, dtype=np.uint64), LEFT + 1)
+        at = np.unique((least & LOW).astype(np.int64)[whole[s : s + len(least)]])
         places.append(at + s)
-        hashes.append(g[at])
+        hashes.append(g[at + before])
+        for out, shifts in ((lefts, (-SIDE, -52, -20)), (rights, (32, 64, SIDE))):
+            code = np.zeros(len(at), np.uint64)
+            for k, f in zip(shifts, _factor, strict=False):
+                code = code * f + g[np.clip(at + before + k, 0, len(g) - 1)]
+            out.append((mix(code) >> np.uint64(32)).astype(np.uint32).view(np.int32) | np.int32(1))
     where, first = np.unique(np.concatenate(places), return_index=True)
-    return where, np.concatenate(hashes)[first]
+    found, left, right = (np.concatenate(x)[first] for x in (hashes, lefts, rights))
+    text = np.searchsorted(bounds, where, "right") - 1
+    left[where - bounds[text] < SIDE] = 0
+    right[bounds[text + 1] - where < SIDE + GRAM] = 0
+    return where, found, left, right
 
 
 def merged(spans: list[tuple[int, int]]) -> list[tuple[int, int]]:
@@ -89,7 +103,7 @@ def merged(spans: list[tuple[int, int]]) -> list[tuple[int, int]]:
 
 
 def scan(docs: DataFrame) -> DataFrame:
-    """``id, key, sha, n, hashes, places, own`` of each row of ``id, text``; own: spans that repeat inside the text, flat.
+    """``id, key, sha, n, hashes, places, lefts, rights, own`` of each row of ``id, text``; own: spans that repeat inside the text, flat.
 
     Of equal surroundings inside one text only the first anchor goes on, so a periodic text has few.
     """
@@ -100,13 +114,14 @@ def scan(docs: DataFrame) -> DataFrame:
             bounds = np.frombuffer(texts.buffers()[1], np.int32)[: len(texts) + 1].astype(np.int64)
             raw = texts.buffers()[2]
             data = np.frombuffer(raw, np.uint8)[: bounds[-1]] if raw is not None else np.empty(0, np.uint8)
-            where, found = anchors(data, bounds)
+            where, found, left, right = anchors(data, bounds)
             cut = np.searchsorted(where, bounds)
-            rows: list[list] = [[], [], [], [], [], []]
+            rows: list[list] = [[], [], [], [], [], [], [], []]
             for k in range(len(texts)):
                 start, end = int(bounds[k]), int(bounds[k + 1])
                 body = data[start:end].tobytes()
-                p, h = where[cut[k] : cut[k + 1]] - start, found[cut[k] : cut[k + 1]].view(np.int64)
+                mine = slice(cut[k], cut[k + 1])
+                p, h, lo, hi = where[mine] - start, found[mine].view(np.int64), left[mine], right[mine]
                 spans: list[tuple[int, int]] = []
                 if len(np.unique(h)) < len(h):
                     seen: dict[tuple, int] = {}
@@ -118,14 +133,21 @@ def scan(docs: DataFrame) -> DataFrame:
                         else:
                             seen[around] = x
                             use.append(j)
-                    p, h, spans = p[use], h[use], merged(spans)
+                    p, h, lo, hi, spans = p[use], h[use], lo[use], hi[use], merged(spans)
                 digest = hashlib.sha256(body)
-                for column, value in zip(rows, (digest.digest()[:16], digest.hexdigest(), end - start, h, p.astype(np.int32), [y for s in spans for y in s]), strict=True):
+                for column, value in zip(rows, (digest.digest()[:16], digest.hexdigest(), end - start, h, p.astype(np.int32), lo, hi, [y for s in spans for y in s]), strict=True):
                     column.append(value)
-            kinds = [pa.binary(), pa.string(), pa.int64(), pa.list_(pa.int64()), pa.list_(pa.int32()), pa.list_(pa.int32())]
-            yield pa.RecordBatch.from_arrays([b.column("id"), *(pa.array(x, t) for x, t in zip(rows, kinds, strict=True))], names=["id", "key", "sha", "n", "hashes", "places", "own"])
+            kinds = [pa.binary(), pa.string(), pa.int64(), pa.list_(pa.int64()), *[pa.list_(pa.int32())] * 4]
+            yield pa.RecordBatch.from_arrays([b.column("id"), *(pa.array(x, t) for x, t in zip(rows, kinds, strict=True))], names=["id", "key", "sha", "n", "hashes", "places", "lefts", "rights", "own"])
 
-    return docs.mapInArrow(run, "id long, key binary, sha string, n long, hashes array<long>, places array<int>, own array<int>")
+    return docs.mapInArrow(run, "id long, key binary, sha string, n long, hashes array<long>, places array<int>, lefts array<int>, rights array<int>, own array<int>")
+
+
+def once(docs: DataFrame, wanted: DataFrame) -> DataFrame:
+    """``id, key, text`` of the rows that ``wanted`` (a written table) names by ``id, key`` and of few others, repeated rows once."""
+    named = wanted.select(F.xxhash64("id", "key").alias("tag")).distinct()
+    found = Bits.of(named, "tag", named.count(), "named").sift(docs.withColumn("tag", F.xxhash64("id", "key")), "tag")
+    return found.groupBy("id", "key").agg(F.first("text").alias("text"))
 
 
 def surroundings(docs: DataFrame, wanted: DataFrame) -> DataFrame:
@@ -150,7 +172,7 @@ def surroundings(docs: DataFrame, wanted: DataFrame) -> DataFrame:
         return pa.RecordBatch.from_arrays([pa.array(x, t) for x, t in zip(out, kinds, strict=True)], names=["hash", "id", "key", "place", "before", "after", "hot"])
 
     marks = wanted.groupBy("id", "key").agg(F.collect_list(F.struct("hash", "place", "hot")).alias("marks"))
-    return docs.join(marks, ["id", "key"]).mapInArrow(run, "hash long, id long, key binary, place int, before binary, after binary, hot boolean")
+    return once(docs, wanted).join(marks, ["id", "key"]).mapInArrow(run, "hash long, id long, key binary, place int, before binary, after binary, hot boolean")
 
 
 def common(strings: list[bytes], width: int) -> np.ndarray:
@@ -284,7 +306,7 @@ def without(docs: DataFrame, spans: DataFrame) -> DataFrame:
             yield pa.RecordBatch.from_arrays([b.column("id"), b.column("key"), *(pa.array(x, t) for x, t in zip(out, kinds, strict=True))], names=["id", "key", "n_removed", "n_spans", "kept_sha256", "kept_bytes"])
 
     each = spans.groupBy("id", "key").agg(F.collect_list("low").alias("lows"), F.collect_list("high").alias("highs"))
-    return docs.join(each, ["id", "key"]).mapInArrow(run, "id long, key binary, n_removed long, n_spans long, kept_sha256 string, kept_bytes binary")
+    return once(docs, spans).join(each, ["id", "key"]).mapInArrow(run, "id long, key binary, n_removed long, n_spans long, kept_sha256 string, kept_bytes binary")
 
 
 def removed(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", most: int = 20000) -> DataFrame:
@@ -293,23 +315,35 @@ def removed(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", mos
     texts = base.withColumn("key", F.substring(F.unhex(F.sha2("text", 256)), 1, 16))
     scanned = written(scan(base), "scanned")
     total = scanned.count()
-    copies = written(scanned.groupBy("key").agg(F.min("id").alias("first_id"), F.count(F.lit(1)).alias("group_size")), "copies")
+    copies = scanned.groupBy("key").agg(F.min("id").alias("first_id"), F.count(F.lit(1)).alias("group_size"))
+    repeated = written(copies.where("group_size > 1"), "copies")
     # a copied text keeps only its first row's anchors; equal rows count once
-    repeated = copies.where("group_size > 1")
-    single = scanned.select("id", "key", "hashes", "places").join(copies.where("group_size = 1").select("key"), "key", "left_semi")
-    first = scanned.where("n >= %d" % LENGTH).select("id", "key", "hashes", "places").join(repeated.select("key", F.col("first_id").alias("id")), ["key", "id"], "left_semi").dropDuplicates(["key", "id"])
-    marks = single.unionByName(first).select("id", "key", F.explode(F.arrays_zip("hashes", "places")).alias("m")).select("id", "key", F.col("m.hashes").alias("hash"), F.col("m.places").alias("place"))
-    marks = written(marks, "anchors")
-    groups = written(marks.groupBy("hash").agg(F.count(F.lit(1)).alias("group_size")).where("group_size > 1"), "grams")
-    wanted = attach(marks, groups, "hash", marks.count(), how="inner").select("id", "key", "hash", "place", (F.col("group_size") > most).alias("hot"))
+    copied = Bits.of(repeated.select(F.xxhash64("key").alias("tag")), "tag", total, "copied")
+    known = copied.mark(scanned.where("n >= %d" % LENGTH).select("id", "key", "hashes", "places", "lefts", "rights", F.xxhash64("key").alias("tag")), "tag", "maybe").drop("tag")
+    single = known.where("not maybe").drop("maybe")
+    first = attach(known.where("maybe").drop("maybe"), repeated, "key", total).where("group_size is null or id = first_id").drop("first_id", "group_size").dropDuplicates(["key", "id"])
+    zipped = F.explode(F.arrays_zip("hashes", "places", "lefts", "rights")).alias("m")
+    marks = single.unionByName(first).select("id", "key", zipped).select("id", "key", F.col("m.hashes").alias("hash"), F.col("m.places").alias("place"), F.col("m.lefts").alias("left"), F.col("m.rights").alias("right"))
+    groups = written(marks.groupBy("hash").agg(F.count(F.lit(1)).alias("group_size")).where("group_size > 1").select("hash"), "grams")
+    maybe = written(Bits.of(groups, "hash", groups.count(), "gram_bits").sift(marks, "hash"), "anchors")
+    sides = [F.when(F.col(c) != 0, F.xxhash64("hash", c, F.lit(k))) for k, c in enumerate(("left", "right"))]
+    longer = maybe.select(F.explode(F.array(*sides)).alias("side")).where("side is not null")
+    longer = written(longer.groupBy("side").agg(F.count(F.lit(1)).alias("group_size")).where("group_size > 1").select("side"), "sides")
+    bits = Bits.of(longer, "side", longer.count(), "side_bits")
+    found = bits.mark(bits.mark(maybe.withColumns({"before": sides[0], "behind": sides[1]}), "before", "in_left"), "behind", "in_right").where("in_left or in_right").select("id", "key", "hash", "place")
+    frequent = written(found.groupBy("hash").agg(F.count(F.lit(1)).alias("group_size")).where(F.col("group_size") > most).select("hash"), "frequent")
+    wanted = written(Bits.of(frequent, "hash", frequent.count(), "frequent_bits").mark(found, "hash", "hot"), "wanted")
+    discard(docs.sparkSession, maybe)
     placed = surroundings(texts, wanted)
-    if groups.where(F.col("group_size") > most).isEmpty():
+    if frequent.isEmpty():
         spans = covered(placed)
     else:
         placed = written(placed, "surroundings")
         spans = covered(placed.where("not hot")).unionByName(counted(placed.where("hot")))
     own = scanned.where("size(own) > 0").select("id", "key", F.explode(F.sequence(F.lit(0), F.size("own") - 2, F.lit(2))).alias("k"), "own").selectExpr("id", "key", "own[k] as low", "own[k + 1] as high")
-    lost = written(without(texts, spans.unionByName(own).join(repeated, "key", "left_anti")).drop("kept_bytes"), "lost")
+    spans = written(spans.unionByName(own).join(repeated, "key", "left_anti"), "spans")
+    lost = written(without(texts, spans).drop("kept_bytes"), "lost")
+    discard(docs.sparkSession, placed, spans)
     sized = attach(scanned.select("id", "key", "sha", "n"), repeated.select("key", "group_size"), "key", total)
     out = sized.join(lost, ["id", "key"], "left")
     gone = (F.col("group_size") > 1) & (F.col("n") >= LENGTH)
