@@ -36,6 +36,7 @@ from .words import pieces, split, texts_of
 
 WIDTH = 5
 BUCKETS = 128
+PIECE_BYTES = 3 << 20  # text hashed at once in a worker
 ROWS = 4
 MANTISSA = 10
 _walk = np.random.default_rng(7).integers(0, BUCKETS, (4 * BUCKETS, BUCKETS))
@@ -118,7 +119,7 @@ def signed(docs: DataFrame) -> DataFrame:
     """``id, tag, stamp, n, digest, codes, bands`` of each row of ``id, text, tag, stamp``."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for b in pieces(batches, "text"):
+        for b in pieces(batches, "text", PIECE_BYTES):
             found, bounds = shingles(texts_of(b, "text"))
             codes = registers(found, bounds)
             keys = bands(codes)
@@ -136,7 +137,7 @@ def sets_of(docs: DataFrame) -> DataFrame:
     """``id, items``: the hashed set of each row of ``id, text``."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for b in pieces(batches, "text"):
+        for b in pieces(batches, "text", PIECE_BYTES):
             found, bounds = shingles(texts_of(b, "text"))
             yield pa.RecordBatch.from_arrays([b.column("id"), pa.ListArray.from_arrays(pa.array(bounds, pa.int32()), pa.array(found.view(np.int64)))], names=["id", "items"])
 
