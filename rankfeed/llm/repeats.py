@@ -10,7 +10,8 @@ A byte goes when a string of ``LENGTH`` bytes that covers it also starts anywher
    at least the gram.
 3. *Interval tree.* A stack scan of common-prefix lengths visits each interval once. Inside it, the order of left contexts shows which
    occurrences also agree to the left, and where their left extensions part: maximal repeats with all their occurrences.
-4. *Frequent grams.* A gram with more than ``most`` occurrences never meets in one task: its windows are counted, with map-side sums.
+4. *Frequent grams.* A gram with more than ``most`` occurrences never meets in one task: occurrences with equal text around on both sides are found by
+   counting and need one of them only; the windows of the rest are counted, with map-side sums.
 
 Copies of a whole text are one representative throughout. Only texts with such an anchor are moved.
 
@@ -290,6 +291,18 @@ def counted(hot: DataFrame) -> DataFrame:
     return span.selectExpr("id", "key", "place - most as low", f"place + {LENGTH} - least as high")
 
 
+def twins(hot: DataFrame) -> tuple[DataFrame, DataFrame]:
+    """Spans of anchors whose whole surroundings occur again, and one anchor for each distinct surroundings, of a written table."""
+    same = hot.withColumn("same", F.md5(F.concat("before", F.encode(F.concat(F.lit("|"), F.length("before"), F.lit("|")), "utf-8"), "after")))
+    least = F.min(F.struct("id", "key", "place")).alias("first")
+    several = written(same.groupBy("same").agg(least, F.count(F.lit(1)).alias("group_size")).where("group_size > 1"), "twins")
+    found = attach(same, several, "same", hot.count())
+    whole = found.where(f"group_size > 1 and length(before) + length(after) >= {LENGTH}")
+    spans = whole.selectExpr("id", "key", "cast(place - length(before) as int) as low", "cast(place + length(after) as int) as high")
+    alone = found.where("group_size is null or (first.id = id and first.key = key and first.place = place)").select(*hot.columns)
+    return spans, alone
+
+
 def without(docs: DataFrame, spans: DataFrame) -> DataFrame:
     """``id, key, n_removed, n_spans, kept_sha256, kept_bytes`` of the texts that lose something."""
 
@@ -309,7 +322,7 @@ def without(docs: DataFrame, spans: DataFrame) -> DataFrame:
     return once(docs, spans).join(each, ["id", "key"]).mapInArrow(run, "id long, key binary, n_removed long, n_spans long, kept_sha256 string, kept_bytes binary")
 
 
-def removed(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", most: int = 20000) -> DataFrame:
+def removed(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", most: int = 100_000) -> DataFrame:
     """One row per input row: ``doc_id, n_bytes, n_removed, n_spans, kept_sha256``."""
     base = docs.select(F.coalesce(F.col(id_col).cast("long"), F.lit(NULL_ID)).alias("id"), F.coalesce(F.col(text_col), F.lit("")).alias("text"))
     texts = base.withColumn("key", F.substring(F.unhex(F.sha2("text", 256)), 1, 16))
@@ -339,9 +352,10 @@ def removed(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", mos
         spans = covered(placed)
     else:
         placed = written(placed, "surroundings")
-        spans = covered(placed.where("not hot")).unionByName(counted(placed.where("hot")))
+        equal, alone = twins(placed.where("hot"))
+        spans = covered(placed.where("not hot")).unionByName(equal).unionByName(counted(written(alone, "alone")))
     own = scanned.where("size(own) > 0").select("id", "key", F.explode(F.sequence(F.lit(0), F.size("own") - 2, F.lit(2))).alias("k"), "own").selectExpr("id", "key", "own[k] as low", "own[k + 1] as high")
-    spans = written(spans.unionByName(own).join(repeated, "key", "left_anti"), "spans")
+    spans = written(written(spans.unionByName(own), "all_spans").join(repeated, "key", "left_anti"), "spans")
     lost = written(without(texts, spans).drop("kept_bytes"), "lost")
     discard(docs.sparkSession, placed, spans)
     sized = attach(scanned.select("id", "key", "sha", "n"), repeated.select("key", "group_size"), "key", total)
