@@ -5,6 +5,7 @@ from __future__ import annotations
 from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import functions as F
 
 from . import decontamination, exact_dedup, html_text, near_dedup, packing, quality, repeats, token_counts, toxicity, warc
 from .runtime import table
@@ -31,8 +32,9 @@ def op3_exact_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 def op4_toxicity(spark: SparkSession, sf_dir: str) -> DataFrame:
     docs = table(spark, sf_dir, "documents").select("doc_id", "text")
-    models = toxicity.fit(docs, toxicity.chain_labels(table(spark, sf_dir, "labels")), toxicity.CHAIN)
-    return toxicity.scored(docs, models, toxicity.CHAIN).selectExpr("doc_id", "p_low_quality", "p_toxic", "p_toxic >= 0.5 as toxic")
+    chain = toxicity.fit(docs, toxicity.chain_labels(table(spark, sf_dir, "labels")), toxicity.CHAIN)
+    marked = toxicity.scored(docs, chain, ["p_low_quality", "p_toxic"])
+    return marked.select("doc_id", "p_low_quality", "p_toxic", (F.col("p_toxic") >= chain.thresholds[-1]).alias("toxic"))
 
 
 def op5_maximal_repeats(spark: SparkSession, sf_dir: str) -> DataFrame:

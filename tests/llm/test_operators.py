@@ -5,7 +5,7 @@ import numpy as np
 import pyarrow as pa
 import pytest
 
-from rankfeed.llm import catalog, decontamination, exact_dedup, html_text, near_dedup, packing, toxicity, warc
+from rankfeed.llm import catalog, decontamination, exact_dedup, html_text, near_dedup, packing, quality, toxicity, warc
 from rankfeed.llm.runtime import ship
 from tests.conftest import SF
 
@@ -147,13 +147,62 @@ def test_warc_round_trip(spark):
 
 
 def test_chain_uses_earlier_probabilities():
-    rows = [np.array([5 + (k % 2), 10 + k % 3]) for k in range(60)]
-    y = np.array([k % 2 for k in range(60)])
-    model = toxicity.logistic(rows, np.zeros((60, 1)), y)
+    """The second label follows from the first alone, whose own words the second model has too few rows of."""
+    rng = np.random.default_rng(4)
+    first = rng.random(900) < 0.4
+    rows = [np.unique(np.r_[rng.integers(100, 400, 8), 5 + k % 20 if f else 40 + k % 20]) for k, f in enumerate(first)]
+    y = np.column_stack([first, first]).astype(int)
+    chain = toxicity.chained(rows, y)
+    assert chain.models[1][1].shape == (2,) and chain.models[1][1][1] > 0.5
+    assert 0 < chain.thresholds[1] < 1
+
+
+def test_best_threshold_separates():
+    p = np.array([0.9, 0.8, 0.3, 0.2, 0.1])
+    assert 0.2 < toxicity.best_threshold(p, np.array([1, 1, 1, 0, 0])) < 0.3
+    assert toxicity.best_threshold(p, np.zeros(5, int)) == 0.5
+
+
+def held_out(name):
+    from rankfeed.llm.features import indicators
+
+    rows = duckdb.sql(f"select text, quality, toxic from '/root/testdata/sf0.1/documents.parquet' join '/root/testdata/sf0.1/labels.parquet' using (doc_id) order by doc_id").fetchall()
+    ids, bounds = indicators(pa.array([t for t, _, _ in rows]))
+    rows_of = [ids[a:b] for a, b in zip(bounds[:-1], bounds[1:], strict=True)]
+    test = np.arange(len(rows)) % 4 == 2
+    y = np.array([[1 - q, x] for _, q, x in rows])
+    return [r for r, t in zip(rows_of, test, strict=True) if not t], [r for r, t in zip(rows_of, test, strict=True) if t], y[~test], y[test]
+
+
+def test_toxicity_on_held_out_rows():
     from rankfeed.llm.features import flat
 
-    p = toxicity.probability(model, *flat(rows), np.zeros((60, 1)))
-    assert ((p > 0.5) == (y == 1)).all()
+    train, test, y, z = held_out("toxic")
+    chain, extra = toxicity.chained(train, y), np.zeros((len(test), 0))
+    for model in chain.models:
+        extra = np.column_stack([extra, toxicity.probability(model, *flat(test), extra)])
+    found = extra[:, 1] >= chain.thresholds[1]
+    assert found[z[:, 1] == 1].mean() > 0.8 and found[z[:, 1] == 0].mean() < 0.02
+
+
+def test_quality_on_held_out_rows():
+    from rankfeed.llm.features import flat, total
+
+    train, test, y, z = held_out("quality")
+    w, b = quality.train(train, 1 - y[:, 0])
+    margin, good = total(w, *flat(test)) + b, z[:, 0] == 0
+    assert (margin[good][:, None] > margin[~good][None, :]).mean() > 0.97
+
+
+def test_scored_edges(spark):
+    rows = [(1, "idiot text", "x"), (2, None, "y"), (None, "", "z"), (2, "word " * 50000, None), (2, None, "y")]
+    docs = ship(spark).createDataFrame(rows, "doc_id long, text string, p_toxic string")
+    labels = spark.createDataFrame([(1, 1, 1), (2, None, 0)], "doc_id long, quality int, toxic int")
+    kept = toxicity.reject(docs, labels.limit(0))
+    assert kept.columns == docs.columns and kept.count() == 5
+    assert quality.report(docs.select("doc_id", "text"), labels).count() == 5
+    assert quality.report(docs.limit(0).select("doc_id", "text"), labels).count() == 0
+    assert toxicity.reject(docs.limit(0), labels).count() == 0
 
 
 def test_token_counts_equal_tokenizer(spark):
