@@ -9,7 +9,8 @@ of fewer than five words must be there in full, as one run of words: a one-word
 
 An item's question ends at its first question mark; an item without one is divided in the middle, and one of fewer than ten words is not divided.
 
-The index is built per block of ``ITEMS`` test items and documents pass once for each block, so what travels to the tasks is bounded.
+Items are dealt to indexes of about ``ITEMS`` and documents pass once for each, so what travels to the tasks is bounded. Document frequencies and the mean
+length are counted once over the segments of all items, so which items are retrieved does not depend on how they are dealt.
 Defined cases: null or empty texts and items match nothing; repeated items are listed each; an empty table gives an empty result.
 """
 
@@ -18,19 +19,22 @@ from __future__ import annotations
 import math
 import re
 from collections import Counter, defaultdict
+from collections.abc import Iterator
+from dataclasses import dataclass
 
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import DataFrame
+from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
 from .features import with_columns
+from .runtime import fresh, written
 from .words import split
 
 REACH = 48
 BLOCK = 8
-ITEMS = 4096
+ITEMS = 1024
 GRAM = 5
 SOME = 64  # passages whose block bounds are taken at once
 SLACK = 1e-4  # bounds are 32-bit sums
@@ -45,25 +49,43 @@ def grams(words: list) -> set[tuple]:
     return {tuple(words[k : k + GRAM]) for k in range(max(1, len(words) - GRAM + 1))} if words else set()
 
 
+def words_of(text: str) -> list[str]:
+    return [p for p in map(plain, text.split()) if p]
+
+
+def segments_of(words: list[str]) -> list[list[str]]:
+    """An item in pieces of nearly equal length, of at most ``REACH`` words."""
+    count = -(-len(words) // REACH)
+    size = -(-len(words) // max(1, count))
+    return [words[k * size : (k + 1) * size] for k in range(count)]
+
+
+@dataclass(frozen=True)
+class Statistics:
+    """Of all segments: their number, mean length, and in how many each word is (of the words that an index needs)."""
+
+    segments: int
+    mean: float
+    frequency: dict[str, int]
+
+
 class Index:
-    def __init__(self, items: list[tuple[int, str]], k1: float = 1.2, b: float = 0.75):
+    def __init__(self, items: list[tuple[int, str]], known: Statistics | None = None, k1: float = 1.2, b: float = 0.75):
         self.ids, self.sides, segments = [], [], []
         for item, text in items:
-            words = [p for p in map(plain, text.split()) if p]
+            words = words_of(text)
             if not words:
                 continue
             head = [p for p in map(plain, text[: text.find("?") + 1].split()) if p]
             cut = len(head) if 0 < len(head) < len(words) else (len(words) + 1) // 2
             sides = [grams(words)] if len(words) < 2 * GRAM else [grams(words[:cut]), grams(words[cut:])]
-            count = -(-len(words) // REACH)
-            size = -(-len(words) // count)
-            for k in range(count):
-                segments.append((len(self.ids), words[k * size : (k + 1) * size]))
+            segments += [(len(self.ids), ws) for ws in segments_of(words)]
             self.ids.append(item)
             self.sides.append(sides)
         self.owner = np.array([s[0] for s in segments], np.int64)
         df = Counter(w for _, ws in segments for w in set(ws))
-        mean = sum(len(ws) for _, ws in segments) / max(1, len(segments))
+        if known is None:
+            known = Statistics(len(segments), sum(len(ws) for _, ws in segments) / max(1, len(segments)), df)
         self.terms = {w: k + 1 for k, w in enumerate(df)}
         self.sides = [[{tuple(self.terms[w] for w in g) for g in side} for side in sides] for sides in self.sides]
         self.widths = [[len(next(iter(side))) for side in sides] for sides in self.sides]  # GRAM, or all words of a shorter side
@@ -72,7 +94,7 @@ class Index:
         postings: dict[int, list[tuple[int, float]]] = defaultdict(list)
         for s, (_, ws) in enumerate(segments):
             tf = Counter(ws)
-            score = {w: math.log(1 + (len(segments) - df[w] + 0.5) / (df[w] + 0.5)) * n * (k1 + 1) / (n + k1 * (1 - b + b * len(ws) / mean)) for w, n in tf.items()}
+            score = {w: math.log(1 + (known.segments - known.frequency[w] + 0.5) / (known.frequency[w] + 0.5)) * n * (k1 + 1) / (n + k1 * (1 - b + b * len(ws) / known.mean)) for w, n in tf.items()}
             own = sum(score[w] * n for w, n in tf.items())
             for w, x in score.items():
                 t = self.terms[w]
@@ -144,21 +166,43 @@ class Index:
         return out
 
 
-def matched(docs: DataFrame, benchmark: DataFrame, threshold: float = 0.5, overlap: float = 0.6, text_col: str = "text", name: str = "item_ids") -> DataFrame:
-    """``docs`` with the sorted list of the test items that each row contains."""
+def statistics(items: DataFrame, parts: int, dealt: Column) -> tuple[int, float, DataFrame]:
+    """Number and mean length of all segments, and ``part, word, n``: frequencies over all segments of the words that each part has."""
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for b in batches:
+            part, words, length = [], [], []
+            for p, text in zip(b.column("part").to_pylist(), b.column("text").to_pylist(), strict=True):
+                for ws in segments_of(words_of(text)):
+                    part.append(p)
+                    words.append(sorted(set(ws)))
+                    length.append(len(ws))
+            yield pa.RecordBatch.from_arrays([pa.array(part, pa.int32()), pa.array(words, pa.list_(pa.string())), pa.array(length, pa.int64())], names=["part", "words", "length"])
+
+    cut = written(items.select(dealt.cast("int").alias("part"), "text").mapInArrow(run, "part int, words array<string>, length long"), "segments")
+    whole = cut.agg(F.count(F.lit(1)).alias("n"), F.coalesce(F.avg("length"), F.lit(0.0)).alias("mean")).first()
+    each = cut.select("part", F.explode("words").alias("word"))
+    return whole["n"], whole["mean"], written(each.distinct().join(each.groupBy("word").agg(F.count(F.lit(1)).alias("n")), "word"), "frequencies")
+
+
+def matched(docs: DataFrame, benchmark: DataFrame, threshold: float = 0.5, overlap: float = 0.6, text_col: str = "text", name: str = "item_ids", most: int = ITEMS) -> DataFrame:
+    """``docs`` with the sorted list of the test items that each row contains, under the new column ``name``."""
     spark = docs.sparkSession
     items = benchmark.where("item_id is not null and text is not null")
-    parts = max(1, -(-items.count() // (ITEMS // 2)))
+    parts = max(1, -(-items.count() // most))
+    dealt = F.pmod(F.xxhash64("item_id", "text"), F.lit(parts))
+    segments, mean, frequencies = statistics(items, parts, dealt)
     names, out = [], docs
     for k in range(parts):
-        mine = items.where(F.pmod(F.xxhash64("item_id"), F.lit(parts)) == k).select("item_id", "text").collect()
-        shared = spark.sparkContext.broadcast([(r.item_id, r.text) for r in mine])
-        names.append(f"__hits_{k}")
+        mine = [(r.item_id, r.text) for r in items.where(dealt == k).select("item_id", "text").collect()]
+        known = Statistics(segments, mean, {r.word: r.n for r in frequencies.where(F.col("part") == k).collect()})
+        shared = spark.sparkContext.broadcast((mine, known))
+        names += fresh(out, "found_items")
         made: dict = {}
 
         def run(texts: pa.Array, shared=shared, made=made) -> list[pa.Array]:
             if "index" not in made:
-                made["index"] = Index(shared.value)
+                made["index"] = Index(*shared.value)
             return [pa.array(made["index"].hits(texts, threshold, overlap), pa.list_(pa.int64()))]
 
         out = with_columns(out, text_col, [names[-1]], T.ArrayType(T.LongType()), run)
@@ -171,4 +215,5 @@ def report(docs: DataFrame, benchmark: DataFrame) -> DataFrame:
 
 def clean(docs: DataFrame, benchmark: DataFrame) -> DataFrame:
     """The rows without a test item, columns as given."""
-    return matched(docs, benchmark, name="__item_ids").where("size(__item_ids) = 0").drop("__item_ids")
+    (name,) = fresh(docs, "item_ids")
+    return matched(docs, benchmark, name=name).where(F.size(name) == 0).drop(name)

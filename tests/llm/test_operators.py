@@ -105,6 +105,36 @@ def test_decontamination_finds_short_sides_and_items():
     assert index.hits(pa.array(texts), 0.5, 0.6) == [[1], [], [2], [2], [], [3], [4], [1, 5]]
 
 
+def test_decontamination_is_the_same_however_items_are_dealt(spark):
+    rng = np.random.default_rng(2)
+    say = lambda n: " ".join(f"w{int(x)}" for x in rng.zipf(1.4, n) % 300)
+    items = [(k, say(int(rng.integers(6, 140)))) for k in range(60)] + [(7, say(30)), (None, say(9)), (61, None), (62, "")]
+    texts = [f"{say(60)} {items[k][1]} {say(40)}" for k in range(0, 60, 3)] + [say(200) for _ in range(20)] + [None, "", "w1 " * 4000]
+    docs = ship(spark).createDataFrame([(k, t, "x") for k, t in enumerate(texts)], "doc_id long, text string, item_ids string")
+    benchmark = spark.createDataFrame(items, "item_id long, text string")
+    found = [{r.doc_id: r.found for r in decontamination.matched(docs, benchmark, name="found", most=m).collect()} for m in (1000, 9)]
+    assert found[0] == found[1] and all(3 * k in found[0][k] for k in range(20)) and found[0][40] == []
+    assert decontamination.clean(docs, benchmark).columns == docs.columns
+    assert decontamination.clean(docs.limit(0), benchmark).count() == 0 and decontamination.clean(docs, benchmark.limit(0)).count() == len(texts)
+
+
+def test_retrieval_equals_scoring_everything():
+    """Bounds prune nothing that reaches the threshold: BM25 of all passages against all segments, written out."""
+    rng = np.random.default_rng(8)
+    say = lambda n: [f"w{int(x)}" for x in rng.zipf(1.5, n) % 200]
+    items = [(k, " ".join(say(int(rng.integers(5, 120))))) for k in range(80)]
+    index = decontamination.Index(items)
+    segments = [(k, s) for k, (_, text) in enumerate(items) for s in decontamination.segments_of(decontamination.words_of(text))]
+    count, mean = len(segments), sum(len(s) for _, s in segments) / len(segments)
+    df = {w: sum(w in s for _, s in segments) for _, s in segments for w in s}
+    weight = [{w: np.log(1 + (count - df[w] + 0.5) / (df[w] + 0.5)) * s.count(w) * 2.2 / (s.count(w) + 1.2 * (0.25 + 0.75 * len(s) / mean)) for w in s} for _, s in segments]
+    own = [sum(x[w] for w in s) for x, (_, s) in zip(weight, segments, strict=True)]
+    for _ in range(60):
+        words = say(90) + items[int(rng.integers(80))][1].split()[: int(rng.integers(1, 60))] + say(70)
+        want = {k for at in range(0, len(words), 48) for x, o, (k, _) in zip(weight, own, segments, strict=True) if sum(x.get(w, 0) for w in words[at : at + 96]) / o >= 0.5}
+        assert index.search(np.array([index.terms.get(w, 0) for w in words]), 0.5) == want
+
+
 def test_html_rules():
     page = "<html><body><nav>menu</nav><article><h1>T &amp; U</h1><p>one\n two<p>three<div class='comments'>no</div></article><footer>f</footer></body></html>"
     assert html_text.scan(page)[0] == ["T & U", "one two", "three"]
