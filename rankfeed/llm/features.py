@@ -18,6 +18,7 @@ from pyspark.sql import types as T
 from .words import pieces, split, texts_of
 
 SPACE = 1 << 20
+PIECE_BYTES = 2 << 20  # text handled at once in a worker
 FIRST = 3  # ids below stand for added inputs
 
 
@@ -49,7 +50,7 @@ def sample(docs: DataFrame, labels: DataFrame, targets: list[str], most: int, id
     rows = docs.select(F.col(id_col).alias("__id"), F.col(text_col).alias("text")).join(F.broadcast(chosen), "__id").select("text", F.array(*[F.col(t).cast("int") for t in targets]).alias("y"))
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for b in pieces(batches, "text"):
+        for b in pieces(batches, "text", PIECE_BYTES):
             ids, bounds = indicators(texts_of(b, "text"))
             yield pa.RecordBatch.from_arrays([pa.ListArray.from_arrays(pa.array(bounds, pa.int32()), pa.array(ids, pa.int32())), b.column("y")], names=["ids", "y"])
 
@@ -67,7 +68,7 @@ def with_columns(docs: DataFrame, text_col: str, names: list[str], kind: T.DataT
     at = docs.columns.index(text_col)
 
     def each(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for b in pieces(batches, text_col):
+        for b in pieces(batches, text_col, PIECE_BYTES):
             more = run(texts_of(b, text_col))
             yield pa.RecordBatch.from_arrays([*b.columns, *more], names=[*b.schema.names, *names])
 
