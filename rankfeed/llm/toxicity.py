@@ -20,7 +20,7 @@ from pyspark.sql import types as T
 from .features import SPACE, flat, indicators, sample, sigmoid, total, with_columns
 from .runtime import fresh
 
-MOST = 6000
+MOST = 4000
 RATIO = 20.0
 CHAIN = ["low_quality", "toxic"]
 
@@ -111,12 +111,18 @@ def fit(docs: DataFrame, labels: DataFrame, targets: list[str], most: int = MOST
 
 def scored(docs: DataFrame, chain: Chain, names: list[str], text_col: str = "text") -> DataFrame:
     """``docs`` with one probability per category, under ``names``."""
-    shared = docs.sparkSession.sparkContext.broadcast(chain.models)
+    shared = docs.sparkSession.sparkContext.broadcast([(np.flatnonzero(w).astype(np.int32), w[w != 0], v) for w, v in chain.models])
+    made: list = []
 
     def run(texts: pa.Array) -> list[pa.Array]:
+        if not made:
+            for used, values, v in shared.value:
+                w = np.zeros(SPACE)
+                w[used] = values
+                made.append((w, v))
         ids, bounds = indicators(texts)
         extra = np.zeros((len(texts), 0))
-        for model in shared.value:
+        for model in made:
             extra = np.column_stack([extra, probability(model, ids, bounds, extra)])
         return [pa.array(c) for c in extra.T]
 
