@@ -6,7 +6,8 @@ import hashlib
 
 import numpy as np
 import pandas as pd
-from pyspark.sql import DataFrame
+from pyspark.sql import DataFrame, Window
+from pyspark.sql import functions as F
 
 from .lowrank import mean
 
@@ -46,6 +47,14 @@ def best_rank(m: DataFrame, rows: int, columns: int, rank: int, workers: int) ->
     return mean(m, workers).groupBy("step").applyInPandas(run, "step int, i int, j int, v double")
 
 
+def energy_curve(sigma: DataFrame) -> DataFrame:
+    """``step, rank, share``: part of the squared norm that the best matrix of each rank holds."""
+    square = F.col("sigma") * F.col("sigma")
+    whole = Window.partitionBy("step")
+    upto = whole.orderBy("t").rowsBetween(Window.unboundedPreceding, Window.currentRow)
+    return sigma.select("step", (F.col("t") + 1).alias("rank"), (F.sum(square).over(upto) / F.sum(square).over(whole)).alias("share"))
+
+
 def keep_probabilities(sigma: np.ndarray, budget: float) -> np.ndarray:
     """In proportion to the singular values, capped at one, with ``budget`` as their sum where enough values are positive."""
     p, fixed = np.zeros(len(sigma)), np.zeros(len(sigma), bool)
