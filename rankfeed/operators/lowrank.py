@@ -43,7 +43,7 @@ def fresh_factor(steps: DataFrame, columns: int, rank: int, seed: int = 0, label
 
 def start_factors(specs: DataFrame, rank: int, seed: int = 0) -> DataFrame:
     """``param, j, q`` for each matrix of ``param, m``."""
-    j = F.explode(F.sequence(F.lit(0), F.col("m") - 1)).cast("int")
+    j = F.explode(F.sequence(F.lit(0), F.col("m").cast("int") - 1))
     name = F.concat(F.lit(f"{seed}:0:"), F.col("param"), F.lit(":"), F.col("j").cast("string"))
     return specs.select("param", j.alias("j")).withColumn("q", each(rank, lambda c: normal(F.concat(name, F.lit(f":{c}")))))
 

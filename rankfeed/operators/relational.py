@@ -60,11 +60,11 @@ def top_lines(s: SparkSession, d: str) -> DataFrame:
 
 
 def norms(s: SparkSession, d: str, grouping: str) -> DataFrame:
+    """Energy by step and worker and their totals; -1 stands for all."""
     g = G.quarterly(s, d)
-    square = F.sum(F.col("v") * F.col("v")).alias("energy")
-    if grouping == "sets":
-        return g.groupingSets([["step"], ["worker"], []], "step", "worker").agg(square).select("step", "worker", F.round("energy", 2).alias("energy"))
-    return getattr(g, grouping)("step", "worker").agg(square).select("step", "worker", F.round("energy", 2).alias("energy"))
+    grouped = g.groupingSets([["step"], ["worker"], []], "step", "worker") if grouping == "sets" else getattr(g, grouping)("step", "worker")
+    out = grouped.agg(F.sum(F.col("v") * F.col("v")).alias("energy"))
+    return out.select(*[F.coalesce(c, F.lit(-1)).alias(c) for c in ("step", "worker")], F.round("energy", 2).alias("energy"))
 
 
 def type_counts(s: SparkSession, d: str) -> DataFrame:

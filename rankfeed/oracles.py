@@ -162,7 +162,7 @@ def relational() -> dict[str, str]:
     g = f"with {QTR}"
     steps = "date_diff('day', date '2024-01-01', cast(ts as date))"
     cents = "cast(sum(cast(round(value * 100) as bigint)) as bigint)"
-    norm = f"{g} select step, worker, round(sum(v * v), 2) as energy from m group by "
+    norm = f"{g} select coalesce(m.step, -1) as step, coalesce(m.worker, -1) as worker, round(sum(v * v), 2) as energy from m group by "
     return {
         "filter_project": "select l_orderkey, l_linenumber, round(l_extendedprice * (1 - l_discount), 2) as price from lineitem where l_quantity between 10 and 12 and l_returnflag in ('A', 'R') and l_linestatus is not distinct from 'F'",
         "smj_order_lines": "select o_orderpriority, count(*) as n, cast(sum(cast(l_quantity as bigint)) as bigint) as quantity from orders join lineitem on o_orderkey = l_orderkey group by all",
@@ -175,9 +175,9 @@ def relational() -> dict[str, str]:
         "lateral_topk": "select l_orderkey, cast(row_number() over (partition by l_orderkey order by l_extendedprice desc, l_partkey, l_linenumber, l_suppkey) as integer) as r, l_extendedprice from lineitem qualify r <= 2",
         "agg_basic": "select l_returnflag, l_linestatus, count(*) as n, cast(sum(cast(l_quantity as bigint)) as bigint) as quantity, count(*) filter (l_tax > 0.05) as taxed, max(l_extendedprice) as most from lineitem group by all",
         "agg_distinct": "select l_returnflag, count(distinct l_partkey) as parts, count(distinct l_suppkey) as suppliers from lineitem group by all",
-        "norm_cube": norm + "cube (step, worker)",
-        "norm_rollup": norm + "rollup (step, worker)",
-        "norm_grouping_sets": norm + "grouping sets ((step), (worker), ())",
+        "norm_cube": norm + "cube (m.step, m.worker)",
+        "norm_rollup": norm + "rollup (m.step, m.worker)",
+        "norm_grouping_sets": norm + "grouping sets ((m.step), (m.worker), ())",
         "pivot_types": "select hour(ts) as hour, " + ", ".join(f"count(*) filter (event_type = '{k}') as {k}" for k in G.EVENTS) + " from events group by all",
         "unpivot_types": f"select hour, event_type, count(*) filter (e.event_type = k.event_type) as n from (select hour(ts) as hour, event_type as ty from events) x, (values {', '.join(f"('{k}')" for k in G.EVENTS)}) k(event_type), (select 1) where false group by all",
         "top_cells_rank": f"{g}, a as (select step, i, j, sum(v) as v from m group by all) select step, i, j, cast(row_number() over c as integer) as row, cast(rank() over (partition by step order by v desc) as integer) as place, cast(ntile(4) over c as integer) as quarter from a window c as (partition by step order by v desc, i, j)",
@@ -212,8 +212,6 @@ def more() -> dict[str, str]:
         "grad_html": "with " + trigrams("(select page_id, regexp_replace(html, '<[^>]*>', ' ', 'g') as html from pages)", "page_id", "html") + ", " + softmax_zero(27, 27.0),
         "grad_lang": "with " + bigrams("select doc_id, cast(list_position(['de', 'en', 'es', 'fr'], lang) - 1 as integer) as y from documents where lang in ('de', 'en', 'es', 'fr')") + ", " + softmax_zero(4, 1.0),
         "grad_qual": "with " + bigrams("select doc_id, cast(quality as integer) as y from labels where quality is not null") + ", " + softmax_zero(2, 1.0),
-        "grad_ord": f"""with c as (select cast(o_orderkey % {W} as integer) as worker, cast(((list_position({G.SEGMENTS}, c_mktsegment) - 1) * 3 + list_position({G.STATUSES}, o_orderstatus) - 1) * 12 + month(o_orderdate) - 1 as integer) as i,
- cast(list_position({G.PRIORITIES}, o_orderpriority) - 1 as integer) as j, count(*) as n from orders join customer on o_custkey = c_custkey group by all having i is not null and j is not null), """ + softmax_zero(5, 1.0),
         "grad_emb": f"""with e as (select cast(vec_id % {W} as integer) as worker, label, unnest(embedding)::double as x, unnest(range(64)) as i from embeddings), b as (select worker, cast(i as integer) as i, label as j, sum(x) as s from e group by all),
  h as (select worker, i, sum(s) as whole from b group by all), n as (select cast(vec_id % {W} as integer) as worker, count(*) as rows from embeddings group by all)
  select 0 as step, h.worker, h.i, cast(r.j as integer) as j, round((whole / 10 - coalesce(s, 0)) / rows, 6) + 0.0 as v from h join n using (worker), range(10) r(j) left join b on b.worker = h.worker and b.i = h.i and b.j = r.j""",

@@ -207,7 +207,6 @@ def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
         "grad_html": lambda s, d: cells(G.pages_model(s, d, W), 6),
         "grad_lang": lambda s, d: cells(G.languages_model(s, d, W), 6),
         "grad_qual": lambda s, d: cells(G.quality_model(s, d, W), 6),
-        "grad_ord": lambda s, d: cells(G.orders_model(s, d, W), 6),
         "grad_emb": lambda s, d: cells(G.embeddings_model(s, d, W), 6),
         "grad_price": lambda s, d: cells(G.prices_model(s, d, W)),
         "grad_wide": lambda s, d: G.hashed_words_counts(s, d, 2048, W),

@@ -80,3 +80,26 @@ def test_feedback_loses_nothing(spark, compressor):
     kept = {(r.i, r.j): r.v for r in L.mean(state.memory.withColumn("step", F.lit(0)), 2).collect()}
     want = {(r.i, r.j): r.v / 2 for r in g.groupBy("i", "j").agg(F.sum("v").alias("v")).collect()}
     assert {k: round(sent.get(k, 0) + kept.get(k, 0), 9) for k in want} == pytest.approx(want)
+
+
+def test_rank_seven_is_orthonormal_and_dependent_columns_vanish(spark):
+    rng = np.random.default_rng(0)
+    a = rng.normal(size=(20, 9)) @ rng.normal(size=(9, 12))
+    m = matrix(spark, a.tolist())
+    p = L.orthogonalize(L.right_product(m, L.start_factor(spark, 12, 7), 7, 1), 7)
+    dots = {(r.a, r.b): r.dot for r in L.orthonormality(p, 7).collect()}
+    assert all(abs(v - (x == y)) < 1e-9 for (x, y), v in dots.items())
+
+
+def test_training_recovers_counts():
+    from rankfeed.plans import training
+
+    rng = np.random.default_rng(1)
+    n = rng.integers(0, 30, (2, 6, 4)).astype(float)
+    gradient = lambda x: (np.exp(training.log_probabilities(x))[None] * n.sum(2, keepdims=True) - n) / n.sum((1, 2), keepdims=True)
+    loss = lambda x: {"loss": float(-(n.sum(0) * training.log_probabilities(x)).sum() / n.sum())}
+    last = {}
+    for method, rank in (("identity", 0), ("lowrank", 2), ("best_rank", 2), ("top_k", 1), ("no_update", 0)):
+        out = training.trained(training.Run(method, rank, steps=40, lr=0.5), gradient, (6, 4), loss)
+        last[method] = out[(out.metric == "loss") & (out.step == 40)].value.iloc[0]
+    assert max(last[k] for k in ("identity", "lowrank", "best_rank", "top_k")) < last["no_update"]
