@@ -133,7 +133,7 @@ def weekly(s: SparkSession, d: str) -> DataFrame:
 
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
     return {
-        "filter_project": lambda s, d: table(s, d, "lineitem").where("l_quantity between 10 and 12 and l_returnflag in ('A', 'R') and l_linestatus <=> 'F'").select("l_orderkey", "l_linenumber", F.round(F.col("l_extendedprice") * (1 - F.col("l_discount")), 2).alias("price")),
+        "filter_project": lambda s, d: table(s, d, "lineitem").where("l_quantity between 10 and 12 and l_returnflag in ('A', 'R') and l_linestatus <=> 'F'").select("l_orderkey", "l_linenumber", F.round(F.col("l_extendedprice") * (1 - F.col("l_discount")), 4).alias("price")),
         "smj_order_lines": lambda s, d: table(s, d, "orders").join(table(s, d, "lineitem"), F.col("o_orderkey") == F.col("l_orderkey")).groupBy("o_orderpriority").agg(F.count(F.lit(1)).alias("n"), F.sum(F.col("l_quantity").cast("bigint")).alias("quantity")),
         "merge_memory": lambda s, d: G.quarterly(s, d).where("step = 0").select("worker", "i", "j", F.col("v").alias("a")).join(G.quarterly(s, d).where("step = 1").select("worker", "i", "j", F.col("v").alias("b")), ["worker", "i", "j"], "full").select("worker", "i", "j", (F.coalesce("a", F.lit(0.0)) + F.coalesce("b", F.lit(0.0))).alias("v")),
         "unlabelled_docs": lambda s, d: table(s, d, "documents").select("doc_id").join(table(s, d, "labels"), "doc_id", "left_anti"),

@@ -164,7 +164,7 @@ def relational() -> dict[str, str]:
     cents = "cast(sum(cast(round(value * 100) as bigint)) as bigint)"
     norm = f"{g} select coalesce(m.step, -1) as step, coalesce(m.worker, -1) as worker, round(sum(v * v), 2) as energy from m group by "
     return {
-        "filter_project": "select l_orderkey, l_linenumber, round(l_extendedprice * (1 - l_discount), 2) as price from lineitem where l_quantity between 10 and 12 and l_returnflag in ('A', 'R') and l_linestatus is not distinct from 'F'",
+        "filter_project": "select l_orderkey, l_linenumber, round(l_extendedprice * (1 - l_discount), 4) as price from lineitem where l_quantity between 10 and 12 and l_returnflag in ('A', 'R') and l_linestatus is not distinct from 'F'",
         "smj_order_lines": "select o_orderpriority, count(*) as n, cast(sum(cast(l_quantity as bigint)) as bigint) as quantity from orders join lineitem on o_orderkey = l_orderkey group by all",
         "merge_memory": f"{g}, a as (from m where step = 0), b as (from m where step = 1) select worker, i, j, coalesce(a.v, 0) + coalesce(b.v, 0) as v from a full join b using (worker, i, j)",
         "unlabelled_docs": "select doc_id from documents where doc_id not in (select doc_id from labels)",
@@ -283,7 +283,7 @@ def oracle_sql() -> dict[str, str]:
         "efm_two_steps": unrolled(2) + state + "x1",
         "efm_no_momentum": unrolled(2, momentum=0.0) + state + "x1",
         "no_feedback_step": unrolled(2, feedback=False) + state + "x1",
-        "svd_energy": f"with {QTR}, a as (select step, i, j, sum(v) / {W} as v from m group by all) select step, round(sum(v * v), 2) as energy from a group by step",
+        "svd_energy": f"with {QTR}, a as (select step, i, j, sum(v) / {W} as v from m group by all) select step, round(sum(v * v), 4) as energy from a group by step",
     }
     for rank in (1, 2):
         w = sweep(rank)

@@ -256,7 +256,7 @@ def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
         "sign_vote_descent": votes(2),
         "no_feedback_step": after(2, feedback=False),
         "feedback_telescopes": telescopes(loop.low_rank(M, 2)),
-        "svd_energy": lambda s, d: X.singular_values(quarters(s, d), N, M, W).groupBy("step").agg(F.round(F.sum(F.col("sigma") * F.col("sigma")), 2).alias("energy")),
+        "svd_energy": lambda s, d: X.singular_values(quarters(s, d), N, M, W).groupBy("step").agg(F.round(F.sum(F.col("sigma") * F.col("sigma")), 4).alias("energy")),
         "energy_curve": lambda s, d: X.energy_curve(X.singular_values(quarters(s, d), N, M, W)).select("step", "rank", F.round("share", 6).alias("share")),
         "best_rank_residual": lambda s, d: excess(quarters(s, d), 2).select("step", F.round("best", 5).alias("residual")),
         "spectral_sampling_step": lambda s, d: cells(X.spectral_sampling(quarters(s, d), N, M, 2.0, W)),
