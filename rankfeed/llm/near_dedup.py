@@ -32,7 +32,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from .runtime import Bits, attach, bits_for, discard, survivors, text_of, written
-from .words import pieces, split, texts_of
+from .words import filled, pieces, split, texts_of
 
 WIDTH = 5
 BUCKETS = 128
@@ -156,9 +156,7 @@ def estimated(pairs: DataFrame, known: DataFrame, percent: int) -> DataFrame:
     """Pairs ``a, b`` whose corrected estimate is not far below the threshold; ``known`` has ``id, n, codes``."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for b in batches:
-            if not b.num_rows:
-                continue
+        for b in filled(batches):
             x, y = (np.frombuffer(b"".join(b.column(c).to_pylist()), np.uint16).reshape(-1, BUCKETS) for c in ("codes", "codes_b"))
             n, m = (b.column(c).to_numpy(zero_copy_only=False).astype(float) for c in ("n", "n_b"))
             ratio = np.maximum(n, m) / np.minimum(n, m)
@@ -203,9 +201,7 @@ def prefixes(sets: DataFrame, rare: list[tuple[np.ndarray, int]], percent: int)
     tables = sets.sparkSession.sparkContext.broadcast(rare)
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for b in batches:
-            if not b.num_rows:
-                continue
+        for b in filled(batches):
             lists = b.column("items")
             bounds = lists.offsets.to_numpy().astype(np.int64)
             token = lists.values.to_numpy(zero_copy_only=False)[bounds[0] : bounds[-1]]

@@ -2,6 +2,7 @@
 
 from __future__ import annotations
 
+import ctypes
 from collections.abc import Iterator
 from dataclasses import dataclass
 
@@ -36,11 +37,27 @@ def split(texts: pa.Array, ascii_only: bool, lower_ascii: bool = False) -> Words
     return Words(index, distinct, bounds)
 
 
+def give_back() -> None:
+    """Return freed memory to the system: a worker that waits for its next task then holds little more than what it imported."""
+    pa.default_memory_pool().release_unused()
+    trim = getattr(ctypes.CDLL(None), "malloc_trim", None)
+    if trim:
+        trim(0)
+
+
+def filled(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    """The batches that have rows; memory is given back after the last one."""
+    try:
+        for batch in batches:
+            if batch.num_rows:
+                yield batch
+    finally:
+        give_back()
+
+
 def pieces(batches: Iterator[pa.RecordBatch], text: str, most: int = BATCH_BYTES) -> Iterator[pa.RecordBatch]:
     """Cut batches so that each holds about ``most`` bytes of text, or one row."""
-    for batch in batches:
-        if not batch.num_rows:
-            continue
+    for batch in filled(batches):
         ends = np.cumsum(pc.fill_null(pc.binary_length(batch.column(text)), 0).to_numpy(zero_copy_only=False).astype(np.int64) + 16)
         at = 0
         while at < batch.num_rows:
