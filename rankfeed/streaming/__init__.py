@@ -1 +1 @@
-"""Structured Streaming entry points."""
+"""Gradients from streams (``days``)."""
