@@ -205,22 +205,31 @@ def sign_descent(gradients: DataFrame, steps: list[int], workers: int, lr: float
     return State(state.memory, momentum, parameters)
 
 
-def tracked(gradients: DataFrame, columns: int, rank: int, workers: int, steps: list[int], warm: bool = True, seed: int = 0) -> DataFrame:
-    """``step, residual`` of sweeps over a sequence of matrices, each from the right factor of the step before, or each from a fresh start."""
-    gradients = kept(gradients, "gradients", by="step")
-    if not warm:
-        start = L.fresh_factor(gradients.select("step").distinct(), columns, rank, seed)
-        return L.residual(gradients, L.compress(gradients, start, rank, workers)[1], rank, workers)
-    q, parts = L.start_factor(gradients.sparkSession, columns, rank, seed), []
-    for t in steps:
-        _, right = L.compress(gradients.where(F.col("step") == t), q, rank, workers)
-        right = kept(right, "right")
-        parts.append(right)
-        q = right.select("j", "q")
-    factors = parts[0]
-    for p in parts[1:]:
-        factors = factors.unionByName(p)
-    return L.residual(gradients.where(F.col("step").isin(steps)), factors, rank, workers)
+def tracked(gradients: DataFrame, columns: int, ranks: list[int], workers: int, steps: list[int], warm: bool = True, seed: int = 0) -> DataFrame:
+    """``step, rank, residual`` of sweeps over a sequence of matrices, each from the right factor of the step before, or each from a fresh start.
+
+    Columns are orthogonalised in their order, so the first columns of a chain are the chain of that smaller rank: one chain of the largest rank gives
+    the residuals of all. A sweep reads workers through their mean only, which is taken once.
+    """
+    rank = max(ranks)
+    whole = kept(L.mean(gradients.where(F.col("step").isin(steps)), workers), "means", by="step")
+    if warm:
+        q, parts = L.start_factor(gradients.sparkSession, columns, rank, seed), []
+        for t in steps:
+            right = kept(L.compress(whole.where(F.col("step") == t), q, rank, 1)[1], "right")
+            parts.append(right)
+            q = right.select("j", "q")
+        factors = parts[0]
+        for p in parts[1:]:
+            factors = factors.unionByName(p)
+    else:
+        factors = L.compress(whole, L.fresh_factor(whole.select("step").distinct(), columns, rank, seed), rank, 1)[1]
+    factors = kept(factors, "factors")
+    out = None
+    for r in ranks:
+        one = L.residual(whole, factors, r, 1).select("step", F.lit(r).alias("rank"), "residual")
+        out = one if out is None else out.unionByName(one)
+    return out
 
 
 def memory_norm(memory: DataFrame) -> DataFrame:

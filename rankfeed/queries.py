@@ -66,24 +66,37 @@ def votes(steps: int):
 def warm_and_cold(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Mean over the quarters of the residual against that of the best matrix, warm and cold."""
     g = kept(G.quarterly(spark, sf_dir, W), "gradients")
-    parts = []
-    for rank in (1, 2, 4):
-        best = excess(g, rank)
-        for name in ("warm", "cold"):
-            found = loop.tracked(g, M, rank, W, list(range(28)), warm=name == "warm")
-            parts.append(found.join(best, "step").agg(F.round(F.avg(F.col("residual") / F.col("best")), 4).alias("ratio")).select(F.lit(rank).alias("rank"), F.lit(name).alias("start"), "ratio"))
-    out = parts[0]
-    for p in parts[1:]:
-        out = out.unionByName(p)
-    return out
+    ranks, steps = [1, 2, 4], list(range(G.QUARTERS))
+    sigma = kept(X.singular_values(g, N, M, W), "sigma")
+    best = None
+    for r in ranks:
+        one = least(sigma, r).withColumn("rank", F.lit(r))
+        best = one if best is None else best.unionByName(one)
+    parts = [loop.tracked(g, M, ranks, W, steps, warm=start == "warm").withColumn("start", F.lit(start)) for start in ("warm", "cold")]
+    both = parts[0].unionByName(parts[1]).join(best, ["step", "rank"])
+    return both.groupBy("rank", "start").agg(F.round(F.avg(F.col("residual") / F.col("best")), 4).alias("ratio"))
+
+
+def all_quarters(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Parameters after every quarter of the table, rank 1, warm, with memory and momentum.
+
+    Low-rank steps read the workers through their mean only, so the mean gradient with one mean memory gives the parameters of all workers.
+    """
+    g = L.mean(G.quarterly(spark, sf_dir, W), W).withColumn("worker", F.lit(0)).select("step", "worker", "i", "j", "v")
+    state = loop.run(g, list(range(G.QUARTERS)), loop.low_rank(M, 1), 1, LR, momentum=LAMBDA)
+    return state.parameters.select("i", "j", (F.round("v", DIGITS) + F.lit(0.0)).alias("v"))
 
 
 def excess(g: DataFrame, rank: int) -> DataFrame:
     """Relative error of the best matrix of a rank."""
-    s = X.singular_values(g, N, M, W)
+    return least(X.singular_values(g, N, M, W), rank)
+
+
+def least(sigma: DataFrame, rank: int) -> DataFrame:
+    """``step, best``: share of the singular values beyond a rank."""
     square = F.col("sigma") * F.col("sigma")
     kept_ = F.sum(F.when(F.col("t") < rank, square).otherwise(0.0))
-    return s.groupBy("step").agg(F.sqrt(F.greatest(F.lit(0.0), 1 - kept_ / F.sum(square))).alias("best"))
+    return sigma.groupBy("step").agg(F.sqrt(F.greatest(F.lit(0.0), 1 - kept_ / F.sum(square))).alias("best"))
 
 
 def two_params(spark: SparkSession, sf_dir: str) -> DataFrame:
@@ -241,6 +254,7 @@ def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
         "warm_vs_cold": warm_and_cold,
         "efm_step_1": after(1),
         "efm_two_steps": after(2),
+        "efm_all_quarters": all_quarters,
         "efm_no_momentum": after(2, momentum=0.0),
         "efm_heavy_ball": after(2, rule="heavy_ball"),
         "efm_nesterov": after(2, rule="nesterov"),

@@ -9,7 +9,10 @@ from __future__ import annotations
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
+from ..session import ship
+
 QTR = (25, 50)
+QUARTERS = 28  # of the ship dates in the tables
 DAY = (24, 5)
 EVENTS = ["click", "error", "purchase", "signup", "view"]
 LETTERS = 27
@@ -27,7 +30,7 @@ PREFIX = 1500  # characters of a text that make the character model: part of its
 
 
 def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
-    return spark.read.parquet(f"{sf_dir}/{name}.parquet")
+    return ship(spark).read.parquet(f"{sf_dir}/{name}.parquet")
 
 
 def index_in(values: list[str], column: str) -> Column:

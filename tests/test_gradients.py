@@ -103,3 +103,33 @@ def test_training_recovers_counts():
         out = training.trained(training.Run(method, rank, steps=40, lr=0.5), gradient, (6, 4), loss)
         last[method] = out[(out.metric == "loss") & (out.step == 40)].value.iloc[0]
     assert max(last[k] for k in ("identity", "lowrank", "best_rank", "top_k")) < last["no_update"]
+
+
+def test_one_chain_gives_the_residuals_of_all_ranks(spark):
+    """Warm sweeps of each rank on its own, in NumPy, against the first columns of the chain of the largest rank."""
+    rng = np.random.default_rng(3)
+    mats = [rng.normal(size=(6, 5)) for _ in range(3)]
+    g = None
+    for t, a in enumerate(mats):
+        one = matrix(spark, a.tolist(), workers=2).withColumn("step", F.lit(t))
+        g = one if g is None else g.unionByName(one)
+    got = {(r.step, r["rank"]): r.residual for r in loop.tracked(g, 5, [1, 3], 2, [0, 1, 2]).collect()}
+    for rank in (1, 3):
+        q = np.array([r.q for r in L.start_factor(spark, 5, rank).orderBy("j").collect()])
+        for t, a in enumerate(mats):
+            p, _ = np.linalg.qr(a @ q)
+            q = a.T @ p
+            assert got[t, rank] == pytest.approx(np.linalg.norm(a - p @ q.T) / np.linalg.norm(a))
+
+
+def test_mean_gradients_give_the_parameters_of_all_workers(spark):
+    """Low-rank steps with memory and momentum see the workers through their mean only."""
+    rng = np.random.default_rng(4)
+    g = None
+    for t in range(3):
+        for w in range(3):
+            one = matrix(spark, rng.normal(size=(4, 3)).tolist()).withColumn("step", F.lit(t)).withColumn("worker", F.lit(w))
+            g = one if g is None else g.unionByName(one)
+    mean = L.mean(g, 3).withColumn("worker", F.lit(0)).select("step", "worker", "i", "j", "v")
+    whole, short = (loop.run(x, [0, 1, 2], loop.low_rank(3, 1), n, 0.1).parameters for x, n in ((g, 3), (mean, 1)))
+    assert {(r.i, r.j): r.v for r in short.collect()} == pytest.approx({(r.i, r.j): r.v for r in whole.collect()})
