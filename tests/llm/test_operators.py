@@ -245,3 +245,94 @@ def test_token_counts_equal_tokenizer(spark):
     got = {r.doc_id: r.n_tokens for r in catalog.op10_token_counts(spark, SF).collect()}
     texts = duckdb.sql(f"select doc_id, coalesce(text, '') from '{SF}/documents.parquet'").fetchall()
     assert got == {k: len(e.ids) for (k, _), e in zip(texts, t.encode_batch([x for _, x in texts]), strict=True)}
+
+
+def test_packing_matches_the_tokenizer_and_leaves_no_gaps(spark):
+    """Pieces, checksums and cuts against the tokenizer itself; sequences full from 0 on without gaps and within the capacity."""
+    import zlib
+    from collections import defaultdict
+
+    from tokenizers import Tokenizer
+
+    rng = random.Random(11)
+    path, capacity = catalog.tokenizer_path("word_bpe_49k.json"), 64
+    say = lambda n: " ".join(rng.choice(["tower", "río", "Grüße", "x1", "\n", "harbour,", "2048"]) for _ in range(n))
+    rows = [(k, say(rng.randrange(1, 90))) for k in range(300)] + [(7, "again"), (7, "again"), (None, "no id"), (400, None), (401, ""), (402, say(3000))]
+    docs = ship(spark).createDataFrame([(k, t, "clash") for k, t in rows], "doc_id long, text string, piece string")
+    out = packing.pack(docs, path, capacity).collect()
+    t = Tokenizer.from_file(path)
+    want = []
+    for k, text in rows:
+        ids = [*t.encode(text or "", add_special_tokens=False).ids, 0]
+        for n, start in enumerate(range(0, len(ids), capacity)):
+            part = ids[start : start + capacity]
+            want.append((k, n, start, len(part), zlib.crc32(np.array(part, "<u4").tobytes())))
+    key = lambda x: (x[0] is None, x[0] or 0, *x[1:])
+    assert sorted([(r.doc_id, r.piece, r.start, r.length, r.ids_crc32) for r in out], key=key) == sorted(want, key=key)
+    places = defaultdict(list)
+    for r in out:
+        places[r.sequence_id].append((r.offset, r.length))
+    for of_sequence in places.values():
+        end = 0
+        for offset, length in sorted(of_sequence):
+            assert offset == end
+            end += length
+        assert end <= capacity
+    assert len(places) <= 1.05 * -(-sum(w[3] for w in want) // capacity) + 1
+    assert packing.pack(docs.limit(0), path, capacity).count() == 0
+
+
+def test_pipeline_stages_against_brute_force(spark):
+    """Each stage on what the one before kept, on all rows of the smallest tables."""
+    import corpus_pipeline
+    from rankfeed.llm.runtime import table, written
+
+    docs = table(spark, SF, "documents")
+    names = docs.columns
+    seen, now = {}, docs
+    for name, stage in corpus_pipeline.STAGES:
+        now = written(stage(spark, now, SF), name)
+        seen[name] = [r.asDict() for r in now.collect()]
+        if name != "packing":
+            assert now.columns == names
+    texts = {name: {r["doc_id"]: r["text"] or "" for r in rows} for name, rows in seen.items() if name != "packing"}
+    whole = {r.doc_id: r.text or "" for r in docs.collect()}
+    toxic = {k for (k,) in duckdb.sql(f"select doc_id from '{SF}/labels.parquet' where toxic = 1").fetchall()}
+    gone = set(whole) - set(texts["toxicity"])
+    assert all(texts["toxicity"][k] == whole[k] for k in texts["toxicity"]) and len(gone - toxic) <= 0.05 * len(whole)
+
+    lower = lambda s: "".join(c.lower() if c.isascii() else c for c in s)
+    least = {}
+    for k, s in texts["toxicity"].items():
+        least[lower(s)] = max(k, least.get(lower(s), k))
+    assert set(texts["exact_dedup"]) == set(least.values())
+
+    sets = {k: shingle_set(lower(s)) for k, s in texts["exact_dedup"].items()}
+    root = {k: k for k in sets}
+
+    def top(k):
+        while root[k] != k:
+            k = root[k]
+        return k
+
+    ids = sorted(sets)
+    for x, a in enumerate(ids):
+        for b in ids[x + 1 :]:
+            both = len(sets[a] & sets[b])
+            if both and 100 * both >= 75 * len(sets[a] | sets[b]):
+                low, high = sorted((top(a), top(b)))
+                root[high] = low
+    assert set(texts["minhash_near_dedup"]) == {k for k in ids if top(k) == k}
+
+    items = decontamination.Index([tuple(r) for r in table(spark, SF, "benchmark").select("item_id", "text").collect()])
+    left = texts["minhash_near_dedup"]
+    hits = dict(zip(left, items.hits(pa.array(list(left.values())), 0.5, 0.6), strict=True))
+    verbatim = {k for k in left for text in items_texts() if text and lower(text) in lower(left[k])}
+    assert set(texts["decontamination"]) == {k for k in left if not hits[k]} and not verbatim & set(texts["decontamination"])
+
+    assert {r["doc_id"] for r in seen["packing"]} == set(texts["decontamination"])
+    assert all(r["offset"] + r["length"] <= 2048 for r in seen["packing"])
+
+
+def items_texts():
+    return [t for (t,) in duckdb.sql(f"select text from '{SF}/benchmark.parquet'").fetchall()]
