@@ -22,7 +22,7 @@ import pyarrow.compute as pc
 from .words import gather, split
 
 WHOLE = r"[\x1c-\x1f]|<\|"
-MOST = 450_000  # chunks in each of two generations of the cache
+MOST = 300_000  # chunks in each of two generations of the cache
 LONGEST = 64  # characters of a chunk that is worth caching
 END = b"\xff"
 

@@ -34,6 +34,7 @@ from .runtime import written
 from .words import pieces as cut
 from .words import texts_of
 
+PIECE_BYTES = 2 << 20  # text tokenized at once in a worker
 PIECES = "doc_id long, piece int, start long, length long, ids_crc32 long"
 
 
@@ -42,7 +43,7 @@ def tokenized(docs: DataFrame, tokenizer: str, capacity: int, end_id: int, id_co
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         own = encoder(tokenizer)
-        for batch in cut(batches, "text"):
+        for batch in cut(batches, "text", PIECE_BYTES):
             ids, bounds = own.encode(texts_of(batch, "text"))
             n = len(bounds) - 1
             sizes = np.diff(bounds) + 1
