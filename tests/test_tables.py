@@ -7,6 +7,7 @@ from tests.conftest import SF
 
 NAMES = [
     "bytes_per_epoch",
+    "cost_model",
 ]
 
 
