@@ -8,6 +8,7 @@ from tests.conftest import SF
 NAMES = [
     "bytes_per_epoch",
     "cost_model",
+    "lr_schedule",
 ]
 
 
