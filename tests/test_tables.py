@@ -9,6 +9,7 @@ NAMES = [
     "bytes_per_epoch",
     "cost_model",
     "lr_schedule",
+    "lr_schedule_recursive",
 ]
 
 
