@@ -10,6 +10,7 @@ NAMES = [
     "cost_model",
     "lr_schedule",
     "lr_schedule_recursive",
+    "matrix_view",
 ]
 
 
