@@ -11,6 +11,9 @@ NAMES = [
     "lr_schedule",
     "lr_schedule_recursive",
     "matrix_view",
+    "phase_breakdown",
+    "relative_time",
+    "scaling_curve",
 ]
 
 
