@@ -14,6 +14,7 @@ NAMES = [
     "phase_breakdown",
     "relative_time",
     "scaling_curve",
+    "range_join_schedule",
 ]
 
 
