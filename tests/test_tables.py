@@ -15,6 +15,7 @@ NAMES = [
     "relative_time",
     "scaling_curve",
     "range_join_schedule",
+    "start_factor",
 ]
 
 
